@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
-from vtask.llm import substring_dedup
+from vtask.llm import exact_dedup, simhash, substring_dedup
 
 QUERIES = {
     "op1_substring_dedup": substring_dedup.op1_substring_dedup,
+    "op2_simhash_near_dedup": simhash.op2_simhash_near_dedup,
+    "op9_exact_dedup": exact_dedup.op9_exact_dedup,
 }
 
 ORACLE_SQL = {
     "op1_substring_dedup": substring_dedup.OP1_SQL,
+    "op9_exact_dedup": exact_dedup.OP9_SQL,
 }
