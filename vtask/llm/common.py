@@ -11,6 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -158,7 +159,7 @@ def text_values(col: pa.Array) -> list[bytes]:
 def sliced(batches: Iterator[pa.RecordBatch], col: str, most: int) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of at most about `most` bytes of col (one row at least)."""
     for b in batches:
-        size = np.asarray(pa.compute.fill_null(pa.compute.binary_length(b.column(col)), 0)).astype(np.int64)
+        size = np.asarray(pc.fill_null(pc.binary_length(b.column(col)), 0)).astype(np.int64)
         at = np.cumsum(size)
         i = 0
         while i < b.num_rows:
