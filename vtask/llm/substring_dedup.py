@@ -36,8 +36,8 @@ from pyspark.sql import functions as F
 from vtask.llm.common import Docs, from_plain_planes, from_planes, mix64, need, parts_for, plain_planes, settle, text_bytes, text_values, to_planes
 
 _NULL_ID = np.int64(2**63 - 1)
-_CHUNK = 16 << 20  # bytes of text in a chunk
-_SUB = 4 << 20  # bytes hashed at once
+_CHUNK = 8 << 20  # bytes of text in a chunk
+_SUB = 2 << 20  # bytes hashed at once
 _ROW = "bid long, kind int, part int, data binary"
 
 
