@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from vtask.llm import exact_dedup, mixing, pii, png_media, simhash, substring_dedup
+from vtask.llm import byte_bpe, exact_dedup, mixing, pii, png_media, simhash, substring_dedup
 
 QUERIES = {
     "op1_substring_dedup": substring_dedup.op1_substring_dedup,
@@ -10,6 +10,7 @@ QUERIES = {
     "op3_mix_sources": mixing.op3_mix_sources,
     "op5_pii": pii.op5_pii,
     "op6_png_media": png_media.op6_png_media,
+    "op7_byte_bpe": byte_bpe.op7_byte_bpe,
     "op9_exact_dedup": exact_dedup.op9_exact_dedup,
 }
 
