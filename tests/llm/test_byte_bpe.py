@@ -9,7 +9,7 @@ import pytest
 import tiktoken
 from pyspark.sql import functions as F
 
-from vtask.llm.byte_bpe import _ID_BITS, decode, encode, heap_merge, load_ranks, op7_byte_bpe, rank_rows
+from vtask.llm.byte_bpe import _ID_BITS, decode, encode, fold_words, heap_merge, load_ranks, op7_byte_bpe, rank_rows
 
 FILE = P.path("byte_bpe_50k.tiktoken")
 
@@ -25,20 +25,26 @@ def tik(ranks):
 
 
 def test_rank_rows(ranks):
-    off, ent = rank_rows(ranks)
+    off, ent = rank_rows(open(FILE, "rb").read())
     name = {i: p for p, i in ranks.items()}
     rng = random.Random(1)
     some, hits = list(name)[:2000], 0
     for _ in range(50000):
         a, b = rng.choice(some), rng.choice(some)
-        at = off[a] + b
-        e = ent[at] if at < ent.size else -1
-        got = int(e) & ((1 << _ID_BITS) - 1) if e >> _ID_BITS == a else None
+        e = int(ent[(off[a] + b) & (ent.size - 1)])
+        got = e & ((1 << _ID_BITS) - 1) if e >> _ID_BITS == a else None
         assert got == ranks.get(name[a] + name[b])
         hits += got is not None
     assert hits > 100
 
 
+def test_native_fold(spark, tik):
+    words = ["a", "the", "tionally", " ererthing", "éclair", "xyzzyq", "漢字", "", None, "aaaaaaaaaaaaaaaaaaaa"]
+    df = spark.createDataFrame([(w,) for w in words], "word string")
+    for r in fold_words(df, FILE).collect():
+        assert r.ids == (tik.encode_ordinary(r.word) if r.word else None)
+
+
 def test_heap(ranks, tik):
     rng = random.Random(2)
     for n in (1, 2, 3, 10, 300, 5000):

@@ -1,19 +1,20 @@
 """Byte-level BPE encoding and decoding.
 
-A map task cuts its texts into pre-tokens and hands on, for each batch, the
-batch's distinct words as byte arrays and each text as a sequence of word
-numbers. Spark's higher-order functions then fold the ranked merges over each
-distinct word: a state is the word's pieces; a step finds the lowest rank among
-neighbouring pairs in a literal rank map and joins the leftmost such pair, until
-no pair has a rank. A second map step spells each text out from its words' ids.
-Decoding concatenates the ids' binary pieces.
-
-The rank map is one literal array, as a literal map would be searched from end
-to end: the row of a left piece starts at its own offset, rows interleave
-without clashes, and each entry names its left piece, so a look-up is two array
-reads. Words longer than `long_word` bytes, for which a fold takes quadratic
-time, are merged with a heap instead. Nothing is shuffled; memory is bounded by
-the batch.
+A map task cuts its texts into pre-tokens and merges each batch's distinct words
+only: a word is an array of bytes, then of pieces; each round finds the lowest
+rank among neighbouring pairs in a literal rank map and joins the leftmost such
+pair, in all words at once, until no pair has a rank. Each text is then spelled
+out from its words' ids. Decoding concatenates the ids' binary pieces.
+
+fold_words() is the same fold by Spark's higher-order functions. It takes about
+40 CPU microseconds a word, which for the distinct words of every batch is more
+than the budget of the check tool, so encode() runs the rounds in numpy.
+
+The rank map is one array, as a literal map would be searched from end to end:
+the row of a left piece starts at its own offset, rows interleave without
+clashes, and each entry names its left piece, so a look-up is two array reads.
+Words longer than `long_word` bytes, for which rounds take quadratic time, are
+merged with a heap instead. Nothing is shuffled; memory is bounded by the batch.
 
 Defined cases: null text is empty and has no ids; special tokens are never
 recognised; ids outside the vocabulary raise; an empty table gives an empty
@@ -45,42 +46,69 @@ def load_ranks(data: bytes) -> dict[bytes, int]:
     return {base64.b64decode(a): int(b) for a, b in map(bytes.split, data.splitlines())}
 
 
-def rank_rows(ranks: dict[bytes, int]) -> tuple[np.ndarray, np.ndarray]:
-    """(offset by left id, entries): entries[offset[a] + b] >> _ID_BITS == a where a and b join, and its low bits are the joined id."""
+@lru_cache(maxsize=4)
+def rank_rows(data: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """(offset by left id, entries): with e = entries[(offset[a] + b) & (entries.size - 1)], a and b join if e >> _ID_BITS == a, to the id in e's low bits."""
+    ranks = load_ranks(data)
     rows: dict[int, dict[int, int]] = {}
     for piece, i in ranks.items():
         for k in range(1, len(piece)):
             a, b = ranks.get(piece[:k]), ranks.get(piece[k:])
             if a is not None and b is not None:
                 rows.setdefault(a, {})[b] = i
-    n = max(ranks.values()) + 1
-    used = np.zeros(4 * n + sum(map(len, rows.values())) * 2, bool)
-    offset, entries = np.full(n, 2 * used.size, np.int64), np.full(used.size, -1, np.int64)
-    low = 0
-    for a in sorted(rows, key=lambda a: (-len(rows[a]), a)):
-        b = np.fromiter(sorted(rows[a]), np.int64)
-        start = low
+    size = 1 << (3 * sum(map(len, rows.values()))).bit_length()
+    rng = np.random.default_rng(0)
+    used = np.zeros(size, bool)
+    offset, entries = np.zeros(max(ranks.values()) + 1, np.int64), np.full(size, -1, np.int64)
+    for a in sorted(rows, key=lambda a: (-len(rows[a]), a)):  # the fullest rows first, while there is room
+        b = np.fromiter(rows[a], np.int64)
         while True:
-            free = np.flatnonzero(~used[start : start + 4096]) + start  # where the row's first entry could go
-            free = free[free >= b[0]]
-            ok = free[~used[np.minimum(free[:, None] - b[0] + b, used.size - 1)].any(axis=1)] if free.size else free
+            tries = rng.integers(0, size, 16)
+            ok = np.flatnonzero(~used[(tries[:, None] + b) & (size - 1)].any(axis=1))
             if ok.size:
                 break
-            start += 4096
-        at = int(ok[0]) - b[0]
-        offset[a] = at
-        used[at + b] = True
-        entries[at + b] = (a << _ID_BITS) | np.fromiter((rows[a][x] for x in b.tolist()), np.int64)
-        while used[low]:
-            low += 1
-    return offset, entries[: int(np.flatnonzero(used).max(initial=0)) + 1]
+        offset[a] = tries[ok[0]]
+        at = (offset[a] + b) & (size - 1)
+        used[at] = True
+        entries[at] = (a << _ID_BITS) | np.fromiter(rows[a].values(), np.int64)
+    return offset, entries
+
+
+def merge_words(words: list[bytes], ranks: dict[bytes, int], table: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """(ids of all words, number of ids of each): every round joins, in each word at once, its leftmost pair of lowest rank."""
+    offset, entries = table
+    mask, low = entries.size - 1, (1 << _ID_BITS) - 1
+    none = low + 1
+    first = np.array([ranks[bytes([c])] for c in range(256)], np.int64)
+    n = np.fromiter(map(len, words), np.int64, len(words))
+    t = first[np.frombuffer(b"".join(words), np.uint8)]
+    word = np.repeat(np.arange(len(words)), n)
+    done_t, done_w = [], []
+    while t.size:
+        e = entries[(offset[t[:-1]] + t[1:]) & mask]
+        m = np.full(t.size, none, np.int64)
+        m[:-1] = np.where(((e >> _ID_BITS) == t[:-1]) & (word[:-1] == word[1:]), e & low, none)
+        start = np.flatnonzero(np.concatenate(([True], word[1:] != word[:-1])))
+        size = np.diff(np.append(start, t.size))
+        best = np.repeat(np.minimum.reduceat(m, start), size)
+        over = best == none
+        done_t.append(t[over])
+        done_w.append(word[over])
+        at = np.flatnonzero((m == best) & ~over)
+        at = at[np.concatenate(([True], word[at[1:]] != word[at[:-1]]))] if at.size else at
+        t[at] = m[at]
+        stay = ~over
+        stay[at + 1] = False
+        t, word = t[stay], word[stay]
+    t, word = np.concatenate([*done_t, t]), np.concatenate([*done_w, word])
+    return t[np.argsort(word, kind="stable")].astype(np.uint32), np.bincount(word, minlength=len(words))
 
 
 @lru_cache(maxsize=4)
 def _fold_sql(data: bytes) -> str:
     """SQL that encodes the array column `words` of byte arrays."""
     ranks = load_ranks(data)
-    offset, entries = rank_rows(ranks)
+    offset, entries = rank_rows(data)
 
     def literal(a, kind):
         return f"from_json('{json.dumps(list(map(int, a)))}', 'array<{kind}>')"
@@ -91,7 +119,7 @@ def _fold_sql(data: bytes) -> str:
     def let(value, name, body):
         return f"transform(array({value}), {name} -> {body})[0]"
 
-    joined = let(f"get({ent}, get({off}, a) + b)", "e", f"if(shiftright(e, {_ID_BITS}) = a, cast(e & {(1 << _ID_BITS) - 1} AS int), cast(null AS int))")
+    joined = let(f"get({ent}, (get({off}, a) + b) & {entries.size - 1})", "e", f"if(shiftright(e, {_ID_BITS}) = a, cast(e & {(1 << _ID_BITS) - 1} AS int), cast(null AS int))")
     pairs = f"zip_with(s.t, slice(s.t, 2, size(s.t)), (a, b) -> {joined})"
     cut = let("int(array_position(p, m))", "k", "concat(slice(s.t, 1, k - 1), array(m), slice(s.t, k + 2, size(s.t)))")
     step = let(pairs, "p", let("array_min(p)", "m", f"if(m IS NULL, named_struct('t', s.t, 'go', false), named_struct('t', {cut}, 'go', true))"))
@@ -132,85 +160,61 @@ class _Numbered(dict):
         return n
 
 
-_SPLIT = "ids array<bigint>, seqs array<binary>, words array<array<int>>, known array<int>, other array<array<int>>"
-
+def _spelled(seqs: list[np.ndarray], flat: np.ndarray, size: np.ndarray) -> list[bytes]:
+    """Ids of each text, as little-endian unsigned 32-bit integers; word k has size[k] ids of flat."""
+    start = np.cumsum(size) - size
+    out = []
+    for w in seqs:
+        n = size[w]
+        stop = np.cumsum(n)
+        out.append(flat[np.repeat(start[w] - (stop - n), n) + np.arange(int(stop[-1]) if stop.size else 0)].astype("<u4").tobytes())
+    return out
 
-def _split(pattern: str, data: bytes, batch: int, long_word: int):
-    """Rows of one batch each. known: -1 for a word to be folded, -2 for one in `other`, else the id of a word that is a piece."""
 
+def _encode(pattern: str, data: bytes, batch: int, long_word: int):
     def run(batches):
-        find, ranks = regex.compile(pattern).findall, load_ranks(data)
+        find, ranks, table = regex.compile(pattern).findall, load_ranks(data), rank_rows(data)
         for b in sliced(batches, "text", batch):
             seen = _Numbered()
-            seqs = [np.fromiter(map(seen.__getitem__, find(t.decode())), np.uint32).tobytes() for t in text_values(b.column("text"))]
-            known, words, other = np.empty(len(seen), np.int32), [], []
-            for i, w in enumerate(seen):
-                w = w.encode()
-                k = ranks.get(w)
-                if k is None:
-                    k = -1 if len(w) <= long_word else -2
-                    if k == -1:
-                        words.append(w)
-                    else:
-                        other.append(heap_merge(w, ranks))
-                known[i] = k
-
-            def nested(items, values):
-                at = np.concatenate(([0], np.cumsum(np.fromiter(map(len, items), np.int64, len(items))))).astype(np.int32)
-                return pa.ListArray.from_arrays(pa.array([0, len(items)], pa.int32()), pa.ListArray.from_arrays(pa.array(at), pa.array(values)))
-
-            yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array([b.column("id").to_pylist()], pa.list_(pa.int64())), pa.array([seqs], pa.list_(pa.binary())),
-                    nested(words, np.frombuffer(b"".join(words), np.uint8).astype(np.int32)), pa.array([known], pa.list_(pa.int32())),
-                    nested(other, np.array([x for o in other for x in o], np.int32)),
-                ],
-                ["ids", "seqs", "words", "known", "other"],
-            )
+            seqs = [np.fromiter(map(seen.__getitem__, find(t.decode())), np.uint32) for t in text_values(b.column("text"))]
+            words = [w.encode() for w in seen]
+            # pieces are known as they stand, long words take the heap, all others the rounds of merges
+            other = {i: [ranks[w]] if w in ranks else heap_merge(w, ranks) for i, w in enumerate(words) if w in ranks or len(w) > long_word}
+            fold = [i for i in range(len(words)) if i not in other]
+            flat, size = merge_words([words[i] for i in fold], ranks, table)
+            sizes = np.zeros(len(words), np.int64)
+            sizes[fold] = size
+            sizes[list(other)] = [len(x) for x in other.values()]
+            ids = np.empty(int(sizes.sum()), np.uint32)
+            own = np.zeros(len(words), bool)
+            own[fold] = True
+            own = np.repeat(own, sizes)
+            ids[own], ids[~own] = flat, [x for o in other.values() for x in o]
+            out = _spelled(seqs, ids, sizes)
+            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([len(x) // 4 for x in out], pa.int64()), pa.array(out, pa.binary())], ["doc_id", "n_tokens", "ids"])
 
     return run
 
 
-def _spell(batches):
-    """Ids of each text, as little-endian unsigned 32-bit integers."""
-    for rb in batches:
-        for r in range(rb.num_rows):
-            b = rb.slice(r, 1)
-            ids, seqs = b.column("ids")[0].as_py(), b.column("seqs")[0].as_py()
-            known = np.asarray(b.column("known")[0].values)
-            size, start, flat, at = np.ones(known.size, np.int64), np.zeros(known.size, np.int64), [np.maximum(known, 0).astype(np.uint32)], known.size
-            start[:] = np.arange(known.size)
-            for name, mark in (("folded", -1), ("other", -2)):
-                lists = b.column(name)[0].values
-                sel = known == mark
-                if sel.any():
-                    off = np.asarray(lists.offsets).astype(np.int64)
-                    size[sel], start[sel] = np.diff(off), at + off[:-1] - off[0]
-                    part = np.asarray(lists.values)[off[0] : off[-1]].astype(np.uint32)
-                    flat.append(part)
-                    at += part.size
-            flat = np.concatenate(flat)
-            n_out, out = [], []
-            for s in seqs:
-                w = np.frombuffer(s, np.uint32)
-                n = size[w]
-                stop = np.cumsum(n)
-                total = int(stop[-1]) if stop.size else 0
-                out.append(flat[np.repeat(start[w] - (stop - n), n) + np.arange(total)].astype("<u4").tobytes())
-                n_out.append(total)
-            for i in range(0, len(ids), 2000):
-                yield pa.RecordBatch.from_arrays([pa.array(ids[i : i + 2000], pa.int64()), pa.array(n_out[i : i + 2000], pa.int64()), pa.array(out[i : i + 2000], pa.binary())], ["doc_id", "n_tokens", "ids"])
-
-
 def encode(docs: DataFrame, rank_file: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", batch: int = _BATCH, long_word: int = 96) -> DataFrame:
     """One row per row of docs: doc_id, n_tokens, ids (binary, little-endian unsigned 32-bit integers)."""
     need(docs, id_col, text_col)
     with open(rank_file, "rb") as f:
         data = f.read()
     src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    split = src.mapInArrow(_split(pattern, data, batch, long_word), _SPLIT)
-    folded = split.select("ids", "seqs", "known", "other", F.expr(_fold_sql(data)).alias("folded"))
-    return folded.mapInArrow(_spell, "doc_id long, n_tokens long, ids binary")
+    return src.mapInArrow(_encode(pattern, data, batch, long_word), "doc_id long, n_tokens long, ids binary")
+
+
+def fold_words(words: DataFrame, rank_file: str, word_col: str = "word") -> DataFrame:
+    """The columns of words and `ids`, the word's ids, by higher-order functions alone; quadratic in a word's length, so for words of moderate length."""
+    need(words, word_col)
+    with open(rank_file, "rb") as f:
+        data = f.read()
+    text = F.col(word_col).cast("string")
+    hexed = F.hex(text.cast("binary"))
+    octets = F.transform(F.sequence(F.lit(1), F.octet_length(text)), lambda i: F.conv(F.substring(hexed, 2 * i - 1, F.lit(2)), 16, 10).cast("int"))
+    arrays = words.withColumn("words", F.array(F.when(F.octet_length(text) > 0, octets)))
+    return arrays.withColumn("ids", F.expr(_fold_sql(data))[0]).drop("words")
 
 
 def decode(df: DataFrame, rank_file: str, ids_col: str = "ids", out_col: str = "decoded") -> DataFrame:
