@@ -27,6 +27,14 @@ def need(df: DataFrame, *cols: str) -> None:
         raise ValueError(f"missing columns {lost}; there are {df.columns}")
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that all executors share; one of our own only where the session names none."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="vtask-checkpoint-"))
+    return sc.getCheckpointDir()
+
+
 def settle(df: DataFrame) -> DataFrame:
     """Write df to the cluster's shared checkpoint folder and cut its lineage.
 
@@ -34,9 +42,7 @@ def settle(df: DataFrame) -> DataFrame:
     files that only led to this table are released at once.
     """
     spark = df.sparkSession
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="vtask-checkpoint-"))
+    shared_dir(spark)
     before = spark.conf.get(_CLEANUP, "false")
     spark.conf.set(_CLEANUP, "true")
     try:

@@ -192,15 +192,18 @@ def text_owners(docs: DataFrame, parts: int, budget: int = _BUDGET, max_rounds:
     raise RuntimeError(f"a trie still outgrows its budget after {max_rounds} rounds")
 
 
-def _normal(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    text = F.regexp_replace(F.coalesce(F.col(text_col).cast("string"), F.lit("")), r"[\x20\x09-\x0D]+", " ")
-    return docs.select(F.col(id_col).cast("long").alias("id"), text.alias("text"))
+def normal_text(text_col: str) -> F.Column:
+    return F.regexp_replace(F.coalesce(F.col(text_col).cast("string"), F.lit("")), r"[\x20\x09-\x0D]+", " ")
+
+
+def normal_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    return docs.select(F.col(id_col).cast("long").alias("id"), normal_text(text_col).alias("text"))
 
 
 def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", budget: int = _BUDGET, part_bytes: int = 16 << 20) -> DataFrame:
     """One row per row of docs: doc_id, keep_id, group_size, kept, text_sha256 (of the normalised text)."""
     need(docs, id_col, text_col)
-    src = _normal(docs, id_col, text_col)
+    src = normal_texts(docs, id_col, text_col)
     parts = parts_for(docs.sparkSession, text_bytes(docs, text_col), part_bytes)
     keyed = src.select(F.col("id").alias("doc_id"), F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
     return keyed.join(text_owners(src, parts, budget), "text_sha256").select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
