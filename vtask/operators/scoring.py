@@ -7,6 +7,8 @@ no window runs over raw rows.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -48,9 +50,14 @@ def counts_support(model: dict, label: Column, view: dict[str, Column]) -> Colum
 
 
 def surprisal(kappa: Column, levels: list[float]) -> Column:
-    """-log of the smoothed share of nominal supports at or below kappa; levels is a bounded literal."""
-    arr = F.array(*(F.lit(float(v)) for v in levels))
-    return F.round(-F.log((F.size(F.filter(arr, lambda q: q <= kappa)) + 1) / F.lit(float(len(levels) + 1))), 6)
+    """-log of the smoothed share of nominal supports at or below kappa, by binary search in Arrow batches; levels is bounded by the held-out rows."""
+    lv = np.sort(np.array(levels, float))
+
+    @F.pandas_udf("double")
+    def search(k: pd.Series) -> pd.Series:
+        return pd.Series(np.searchsorted(lv, k.to_numpy(), side="right").astype(float))
+
+    return F.round(-F.log((search(kappa) + 1) / F.lit(float(len(lv) + 1))), 6)
 
 
 def cand_stats(support: DataFrame) -> DataFrame:

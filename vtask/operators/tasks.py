@@ -22,6 +22,8 @@ MAX_TOKENS = 10_000
 
 
 def _quantiles(df: DataFrame, exprs: dict[str, Column], ps: list[float], approx: bool) -> dict[str, list[float]]:
+    if not exprs:
+        return {}
     f = (lambda c: F.percentile_approx(c, ps, 10000)) if approx else (lambda c: F.percentile(c, F.array(*map(F.lit, ps))))
     row = df.agg(*(f(c).alias(a) for a, c in exprs.items())).first()
     return {a: list(row[a] or []) for a in exprs}
