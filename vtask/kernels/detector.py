@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
@@ -31,6 +31,19 @@ class Config:
     inter: str = "adaptive"  # or 'random<k>'
 
 
+def with_(cfg: Config, **changes) -> Config:
+    return replace(cfg, **changes)
+
+
+def replace_seed(cfg: Config, seed: int) -> Config:
+    return replace(cfg, seed=seed)
+
+
+def full(cfg: Config) -> Config:
+    """With all templates, so that supports can be shared by every choice among them."""
+    return replace(cfg, templates="SLGPD")
+
+
 @dataclass
 class Evaluation:
     """Supports of every candidate: what selection, ablations and calibration share."""
