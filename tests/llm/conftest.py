@@ -1,20 +1,6 @@
 from __future__ import annotations
 
 import pytest
-from pyspark.sql import SparkSession
-
-
-@pytest.fixture(scope="session")
-def spark(tmp_path_factory):
-    s = (
-        SparkSession.builder.master("local[4]").config("spark.sql.shuffle.partitions", "4").config("spark.ui.enabled", "false")
-        .config("spark.sql.session.timeZone", "UTC").config("spark.driver.memory", "3g").getOrCreate()
-    )
-    s.sparkContext.setLogLevel("ERROR")
-    if s.sparkContext.getCheckpointDir() is None:
-        s.sparkContext.setCheckpointDir(str(tmp_path_factory.mktemp("checkpoint")))
-    return s
-
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 
