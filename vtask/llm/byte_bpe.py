@@ -34,9 +34,9 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vtask.llm.common import need, sliced, text_values
+from vtask.llm.common import need, sliced, text_values, tidy
 
-_BATCH = 12 << 20  # bytes of text whose distinct words are encoded together
+_BATCH = 6 << 20  # bytes of text whose distinct words are encoded together
 _ID_BITS = 20
 
 
@@ -202,7 +202,7 @@ def encode(docs: DataFrame, rank_file: str, pattern: str, id_col: str = "doc_id"
     with open(rank_file, "rb") as f:
         data = f.read()
     src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    return src.mapInArrow(_encode(pattern, data, batch, long_word), "doc_id long, n_tokens long, ids binary")
+    return src.mapInArrow(tidy(_encode(pattern, data, batch, long_word)), "doc_id long, n_tokens long, ids binary")
 
 
 def fold_words(words: DataFrame, rank_file: str, word_col: str = "word") -> DataFrame:
@@ -233,7 +233,7 @@ def decode(df: DataFrame, rank_file: str, ids_col: str = "ids", out_col: str = "
             out = [None if x is None else b"".join(map(pieces.__getitem__, np.frombuffer(x, "<u4").tolist())) for x in b.column(ids_col).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.binary())], [*b.schema.names, out_col])
 
-    return df.select(*keep).mapInArrow(run, df.select(*keep).schema.add(out_col, "binary"))
+    return df.select(*keep).mapInArrow(tidy(run), df.select(*keep).schema.add(out_col, "binary"))
 
 
 def op7_byte_bpe(spark, sf_dir: str) -> DataFrame:

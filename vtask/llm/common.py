@@ -6,6 +6,8 @@ word is a maximal run of bytes outside ``[\\x20\\x09-\\x0D]``.
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 from collections.abc import Iterator
 
@@ -51,6 +53,24 @@ def settle(df: DataFrame) -> DataFrame:
         spark.conf.set(_CLEANUP, before)
 
 
+def tidy(run):
+    """run, a function for mapInArrow, with the worker's freed memory given back to the system, as workers live on between stages."""
+
+    def tidied(batches):
+        libc = ctypes.CDLL(None)
+        if hasattr(libc, "mallopt"):
+            libc.mallopt(-3, 1 << 20)  # M_MMAP_THRESHOLD: large arrays are mapped, and unmapped once freed
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            if hasattr(libc, "malloc_trim"):
+                libc.malloc_trim(0)
+
+    return tidied
+
+
 def text_bytes(df: DataFrame, col: str) -> int:
     """Bytes of all texts, by one aggregation."""
     return df.agg(F.sum(F.octet_length(F.col(col)))).first()[0] or 0

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vtask.llm.byte_bpe import heap_merge, load_ranks
-from vtask.llm.common import need, sliced
+from vtask.llm.common import need, sliced, tidy
 
 _LEAF = 64
 _LOOK = 2
@@ -189,7 +189,7 @@ def count_after_edits(docs: DataFrame, rank_file: str, pattern: str, edits: F.Co
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], ["doc_id", "n_tokens", "n_edits", "n_tokens_after", "n_reencoded", "text_after"])
 
     src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"), edits.cast(_EDITS).alias("edits"))
-    return src.mapInArrow(run, "doc_id long, n_tokens long, n_edits long, n_tokens_after long, n_reencoded long, text_after string")
+    return src.mapInArrow(tidy(run), "doc_id long, n_tokens long, n_edits long, n_tokens_after long, n_reencoded long, text_after string")
 
 
 def seeded_edits(id_col: str, text_col: str, n: int = 4, seed: int = 42) -> F.Column:

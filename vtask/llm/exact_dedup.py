@@ -22,10 +22,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vtask.llm.common import need, parts_for, settle, text_bytes, text_values
+from vtask.llm.common import need, parts_for, settle, sliced, text_bytes, text_values, tidy
 
-_BUDGET = 64 << 20  # bytes of text resident in one trie
-_NODE = 200  # what a node costs besides its label
+_BUDGET = 32 << 20  # bytes of text resident in one trie
+_NODE = 500  # what a node costs besides its label
 
 
 class RadixTrie:
@@ -133,17 +133,17 @@ def _own(budget: int):
                 for text, low, rows in t.walk(t.root, b""):
                     yield part, b"", text, low, rows
 
-        for b in batches:
+        for b in sliced(batches, "text", 4 << 20):
             for part, i, text in zip(b.column("part").to_pylist(), b.column("id").to_pylist(), text_values(b.column("text")), strict=True):
                 t = tries[part]
                 before = t.size
                 t.insert(text, i, 1)
                 size += t.size - before
             if size > budget:
-                yield from _pieces(out(), 8 << 20)
+                yield from _pieces(out(), 4 << 20)
                 tries.clear()
                 size = 0
-        yield from _pieces(out(), 8 << 20)
+        yield from _pieces(out(), 4 << 20)
 
     return own
 
@@ -154,7 +154,7 @@ def _owners(budget: int):
     def owners(batches):
         tries: dict = defaultdict(RadixTrie)
         cut: dict = defaultdict(list)
-        for b in batches:
+        for b in sliced(batches, "text", 4 << 20):
             for part, path, text, low, rows in zip(*(b.column(x).to_pylist() for x in _NAMES), strict=True):
                 key = (part, path)
                 gone = next((p for p in cut[key] if text.startswith(p)), None)
@@ -170,7 +170,7 @@ def _owners(budget: int):
                     cut[key].append(gone)
                     yield from _pieces(((part, gone, *x) for x in got), 8 << 20)
         for (part, _), t in tries.items():
-            yield from _pieces(((part, None, *x) for x in t.walk(t.root, b"")), 8 << 20)
+            yield from _pieces(((part, None, *x) for x in t.walk(t.root, b"")), 4 << 20)
 
     return owners
 
@@ -178,11 +178,11 @@ def _owners(budget: int):
 def text_owners(docs: DataFrame, parts: int, budget: int = _BUDGET, max_rounds: int = 40) -> DataFrame:
     """(text_sha256, keep_id, group_size) of each distinct text of docs(id, text)."""
     dealt = F.pmod(F.xxhash64(F.octet_length("text"), F.xxhash64("text")), F.lit(parts)).cast("int")
-    rows = docs.select(dealt.alias("part"), "id", "text").mapInArrow(_own(budget), _REP).repartitionById(parts, "part")
+    rows = docs.select(dealt.alias("part"), "id", "text").mapInArrow(tidy(_own(budget)), _REP).repartitionById(parts, "part")
     done = None
     for _ in range(max_rounds):
         # finished texts shrink to their digest before they are written
-        out = settle(rows.mapInArrow(_owners(budget), _REP).select("part", "path", F.when(F.col("path").isNotNull(), F.col("text")).alias("text"), F.when(F.col("path").isNull(), F.sha2("text", 256)).alias("text_sha256"), "low", "rows"))
+        out = settle(rows.mapInArrow(tidy(_owners(budget)), _REP).select("part", "path", F.when(F.col("path").isNotNull(), F.col("text")).alias("text"), F.when(F.col("path").isNull(), F.sha2("text", 256)).alias("text_sha256"), "low", "rows"))
         got = out.filter("path IS NULL").select("text_sha256", F.col("low").alias("keep_id"), F.col("rows").alias("group_size"))
         done = got if done is None else done.unionAll(got)
         left = out.filter("path IS NOT NULL").select("part", "path", "text", "low", "rows")

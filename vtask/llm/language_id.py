@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vtask.llm.common import need, settle, sliced, text_values
+from vtask.llm.common import need, settle, sliced, text_values, tidy
 
 _DIM = 1 << 13
 _DROP = re.compile(rb"(?is)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>|&[a-zA-Z#0-9]{1,8};")
@@ -92,7 +92,7 @@ def fit_text_model(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                 total[x] = total.get(x, 0) + row
         yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), pa.array([r.tobytes() for r in total.values()], pa.binary())], ["lang", "n"])
 
-    rows = src.filter(F.col("k") <= last).select("lang", "text").mapInArrow(run, "lang string, n binary").collect()  # a row a language and task, of a sample of fixed size
+    rows = src.filter(F.col("k") <= last).select("lang", "text").mapInArrow(tidy(run), "lang string, n binary").collect()  # a row a language and task, of a sample of fixed size
     total: dict[str, np.ndarray] = {}
     for r in rows:
         total[r.lang] = total.get(r.lang, 0) + np.frombuffer(r.n, np.int64)
@@ -121,7 +121,7 @@ def page_evidence(pages: DataFrame, model: tuple[list[str], np.ndarray], id_col:
             yield pa.RecordBatch.from_arrays([b.column("id"), *strings, pa.array(n.astype(np.int64)), pa.array(ll.tolist(), pa.list_(pa.float64()))], ["id", "host", "domain", "suffix", "declared", "n_features", "ll"])
 
     src = pages.select(F.col(id_col).cast("long").alias("id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
-    return src.mapInArrow(run, "id long, host string, domain string, suffix string, declared string, n_features long, ll array<double>")
+    return src.mapInArrow(tidy(run), "id long, host string, domain string, suffix string, declared string, n_features long, ll array<double>")
 
 
 def fuse(evidence: DataFrame, langs: list[str], strength: float = 2.0, alpha: float = 0.5) -> DataFrame:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vtask.llm.common import need, sliced, text_values
+from vtask.llm.common import need, sliced, text_values, tidy
 
 # fixed values of the format
 SIGNATURE = b"\x89PNG\r\n\x1a\n"
@@ -161,7 +161,7 @@ def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             media = [png_encode(t + b"\0" * (-len(t) % width or (0 if t else width)), width, level) for t in texts]
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(map(len, texts), pa.int64()), pa.array(media, pa.binary())], ["doc_id", "n_bytes", "media"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, _STORE)
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), _STORE)
 
 
 def read_media(df: DataFrame, media_col: str = "media") -> DataFrame:
@@ -187,7 +187,7 @@ def read_media(df: DataFrame, media_col: str = "media") -> DataFrame:
                 error.append(e)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(payload, pa.binary()), pa.array(feature, pa.binary()), pa.array(error, pa.string())], [*b.schema.names, *added])
 
-    return df.select(*keep).mapInArrow(run, schema)
+    return df.select(*keep).mapInArrow(tidy(run), schema)
 
 
 def op6_png_media(spark, sf_dir: str) -> DataFrame:

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vtask.llm.common import Docs, need, sliced, text_values
+from vtask.llm.common import Docs, need, sliced, text_values, tidy
 
 # fixed values: common words of the languages at hand
 STOP = (
@@ -116,7 +116,7 @@ def pattern_counts(src: DataFrame) -> dict[tuple[int, ...], int]:
                 total[p] = total.get(p, 0) + c
         yield pa.RecordBatch.from_arrays([pa.array(["".join(map(str, p)) for p in total], pa.string()), pa.array(list(total.values()), pa.int64())], ["pattern", "n"])
 
-    rows = src.select("text").mapInArrow(run, "pattern string, n long").groupBy("pattern").agg(F.sum("n").alias("n")).collect()
+    rows = src.select("text").mapInArrow(tidy(run), "pattern string, n long").groupBy("pattern").agg(F.sum("n").alias("n")).collect()
     return {tuple(map(int, r.pattern)): r.n for r in rows}
 
 
@@ -171,7 +171,7 @@ def fit_scorer(src: DataFrame, post: dict, sample: int, seed: int) -> tuple[np.n
                 vals.append(np.sqrt(n / max(1, w.n[i])).tolist())
             yield pa.RecordBatch.from_arrays([b.column("k"), pa.array(y), pa.array(cols, pa.list_(pa.int64())), pa.array(vals, pa.list_(pa.float64()))], ["k", "y", "cols", "vals"])
 
-    rows = src.select("text", key.alias("k")).filter(F.col("k") <= last).mapInArrow(run, "k long, y double, cols array<long>, vals array<double>").collect()
+    rows = src.select("text", key.alias("k")).filter(F.col("k") <= last).mapInArrow(tidy(run), "k long, y double, cols array<long>, vals array<double>").collect()
     rows.sort(key=lambda r: (r.k, r.cols))
     y = np.array([r.y for r in rows])
     size = np.array([len(r.cols) for r in rows])
@@ -227,7 +227,7 @@ class QualityModel:
                 yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(n.astype(np.int64)), pa.array(votes, pa.string()), pa.array(post, pa.float64()), pa.array(score), pa.array(kept)], ["doc_id", "n_words", "votes", "posterior", "score", "kept"])
 
         src = docs.select(F.col(self.id_col).cast("long").alias("id"), F.col(self.text_col).cast("string").alias("text"))
-        return src.mapInArrow(run, "doc_id long, n_words long, votes string, posterior double, score double, kept boolean")
+        return src.mapInArrow(tidy(run), "doc_id long, n_words long, votes string, posterior double, score double, kept boolean")
 
     def keep(self, docs: DataFrame) -> DataFrame:
         """The rows of docs that are kept, all columns."""
@@ -237,7 +237,7 @@ class QualityModel:
             for b in sliced(batches, col, 2 << 20):
                 yield b.filter(pa.array(judge(text_values(b.column(col)))[-1]))
 
-        return docs.mapInArrow(run, docs.schema)
+        return docs.mapInArrow(tidy(run), docs.schema)
 
 
 def op10_quality_classifier(spark, sf_dir: str) -> DataFrame:

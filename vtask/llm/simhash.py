@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vtask.llm.common import connected_components, need, parts_for, settle, text_values
+from vtask.llm.common import connected_components, need, parts_for, settle, text_values, tidy
 
 # the sixteen values of four bits, each bit in a lane of sixteen
 _LANES = np.array([sum(((v >> b) & 1) << (16 * b) for b in range(4)) for v in range(16)], np.uint64)
@@ -96,7 +96,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """(id, fp) of each row; fp holds the 64 bits as a signed long."""
     need(docs, id_col, text_col)
     src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    return src.mapInArrow(_fingerprint_rows(shingle), "id long, fp long")
+    return src.mapInArrow(tidy(_fingerprint_rows(shingle)), "id long, fp long")
 
 
 class BKForest:
@@ -207,7 +207,7 @@ def near_components(fps: DataFrame, radius: int = 4) -> DataFrame:
     # with a pick's number as salt, its blocks' bits are the shard
     keys = [F.xxhash64(F.lit(k), *(F.shiftrightunsigned("fp", a).bitwiseAND(F.lit((1 << w) - 1)) for a, w in (blocks[i] for i in p))) for k, p in enumerate(picks)]
     parts = parts_for(spark, n * len(picks), 400_000)
-    stars = one.select("fp", F.explode(F.array(*keys)).alias("shard")).repartition(parts, "shard").mapInArrow(_shard_stars(radius), "a long, b long")
+    stars = one.select("fp", F.explode(F.array(*keys)).alias("shard")).repartition(parts, "shard").mapInArrow(tidy(_shard_stars(radius)), "a long, b long")
     comp = connected_components(stars)
     named = one.join(comp, F.col("fp") == F.col("node"), "left").select("fp", "low", F.coalesce("comp", "fp").alias("comp"))
     low = named.groupBy("comp").agg(F.min("low").alias("component_id"))

@@ -33,7 +33,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vtask.llm.common import Docs, from_plain_planes, from_planes, mix64, need, parts_for, plain_planes, settle, text_bytes, text_values, to_planes
+from vtask.llm.common import Docs, from_plain_planes, from_planes, mix64, need, parts_for, plain_planes, settle, text_bytes, text_values, tidy, to_planes
 
 _NULL_ID = np.int64(2**63 - 1)
 _CHUNK = 8 << 20  # bytes of text in a chunk
@@ -306,14 +306,14 @@ def remove_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col:
     k = (window + 1) // 2
     src = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
     parts = parts_for(spark, text_bytes(src, "text"), part_bytes)
-    chunks = settle(src.mapInArrow(_packer(chunk_bytes), "data binary").select(F.monotonically_increasing_id().alias("bid"), F.lit(0).alias("kind"), F.lit(0).alias("part"), "data"))
-    hits = settle(chunks.mapInArrow(_emit_blocks(k, parts), _ROW).repartitionById(parts, "part").mapInArrow(_probe, _ROW))
+    chunks = settle(src.mapInArrow(tidy(_packer(chunk_bytes)), "data binary").select(F.monotonically_increasing_id().alias("bid"), F.lit(0).alias("kind"), F.lit(0).alias("part"), "data"))
+    hits = settle(chunks.mapInArrow(tidy(_emit_blocks(k, parts)), _ROW).repartitionById(parts, "part").mapInArrow(tidy(_probe), _ROW))
 
     def beside(answers: DataFrame) -> DataFrame:
         return chunks.unionAll(answers).repartition(parts, "bid")
 
-    later = settle(beside(hits).mapInArrow(_emit_windows(k, window, parts), _ROW).repartitionById(parts, "part").mapInArrow(_earlier, _ROW))
-    return beside(later).mapInArrow(_strip(window), "doc_id long, n_words long, n_removed long, kept_text string, removed_spans array<struct<start:long,end:long>>")
+    later = settle(beside(hits).mapInArrow(tidy(_emit_windows(k, window, parts)), _ROW).repartitionById(parts, "part").mapInArrow(tidy(_earlier), _ROW))
+    return beside(later).mapInArrow(tidy(_strip(window)), "doc_id long, n_words long, n_removed long, kept_text string, removed_spans array<struct<start:long,end:long>>")
 
 
 def op1_substring_dedup(spark, sf_dir: str) -> DataFrame:
