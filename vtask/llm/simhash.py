@@ -210,7 +210,8 @@ def near_components(fps: DataFrame, radius: int = 4) -> DataFrame:
     stars = one.select("fp", F.explode(F.array(*keys)).alias("shard")).repartition(parts, "shard").mapInArrow(tidy(_shard_stars(radius)), "a long, b long")
     comp = connected_components(stars)
     named = one.join(comp, F.col("fp") == F.col("node"), "left").select("fp", "low", F.coalesce("comp", "fp").alias("comp"))
-    low = named.groupBy("comp").agg(F.min("low").alias("component_id"))
+    # written first, so that a component of very many fingerprints joins in a join whose large partitions Spark can split
+    low = settle(named.groupBy("comp").agg(F.min("low").alias("component_id")))
     return fps.join(named.join(low, "comp").select("fp", "component_id"), "fp").select("id", "fp", "component_id")
 
 
