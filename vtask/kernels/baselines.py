@@ -158,7 +158,10 @@ class FeatureBagging(Base):
 
 class PCA(Base):
     def _fit(self, x):
-        w, self.v = np.linalg.eigh(np.cov(x.T, bias=True).reshape(x.shape[1], -1))
+        self.fit_covariance(np.cov(x.T, bias=True).reshape(x.shape[1], -1))
+
+    def fit_covariance(self, c: np.ndarray):
+        w, self.v = np.linalg.eigh(c)
         self.w = np.maximum(w, 1e-8)
 
     def _score(self, x):

@@ -138,12 +138,34 @@ def _dense(name: str, fixture_name: str):
 
 
 for _m, _f in (
-    ("lof", "part_dep"), ("loda", "line_num"), ("pca", "line_num"), ("mcd", "line_num"), ("iforest", "line_num"), ("feature_bagging", "part_dep"), ("ocsvm", "part_dep"),
+    ("lof", "part_dep"), ("loda", "line_num"), ("mcd", "line_num"), ("iforest", "line_num"), ("feature_bagging", "part_dep"), ("ocsvm", "part_dep"),
     ("dif", "part_dep"), ("vae", "part_dep"), ("deep_svdd", "part_dep"), ("goad", "part_dep"), ("planar_flow", "part_dep"), ("dagmm", "part_dep"),
 ):
     query(f"{_m}_{_f}")(_dense(_m, _f))
 
 
+@query("pca_line_num")
+def pca(s, d):
+    """kernels.baselines.PCA on the whole context: moments and covariances of all its rows by two aggregations."""
+    from vtask.kernels.baselines import PCA
+
+    df = fixture(s, d, "line_num")
+    c = df.filter("split = 'context'")
+    st = c.agg(*(f(a).alias(f"{k}_{a}") for a in _LN for k, f in (("m", F.avg), ("s", F.stddev_pop)))).first()
+    m = PCA()
+    m.mid, sd = (np.array([st[f"{k}_{a}"] for a in _LN], float) for k in "ms")
+    m.sd = np.where(sd > 0, sd, 1.0)
+    z = {a: (F.col(a) - F.lit(float(mid))) / F.lit(float(w)) for a, mid, w in zip(_LN, m.mid, m.sd, strict=True)}
+    cov = c.agg(*(F.avg(z[a] * z[b]).alias(f"{a}_{b}") for a in _LN for b in _LN)).first()
+    m.fit_covariance(np.array(cov, float).reshape(len(_LN), -1))
+
+    def score(batches):
+        for b in batches:
+            yield pd.DataFrame({"rid": b["rid"], "score": np.round(m.score(b[_LN].to_numpy(float)), 4)})
+
+    return df.filter("split = 'query'").select("rid", *_LN).mapInPandas(score, "rid string, score double")
+
+
 @query("chain_density_line_cat")
 def chain_density(s, d):
     """Attribute-wise conditionals by the count backbone: d supports a row against the method's one a kept task."""

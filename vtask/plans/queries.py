@@ -478,21 +478,13 @@ def counts_support_mixed(s, d):
     w AS (SELECT q.rid, q.y, c.y AS yc, exp(-pow((q.balance - c.balance) / 1000.0, 2)) AS w FROM q, c)
     SELECT rid, round((sum(CASE WHEN y = yc THEN w ELSE 0 END) + 0.001) / (sum(w) + 0.002), 6) AS kappa FROM w GROUP BY rid""")
 def kernel_support_small(s, d):
-    """Kernel mass of a bounded context (collected up to a cap), added floor, as an Arrow map over the queries."""
-    import numpy as np
-    import pandas as pd
-
+    """Kernel mass of the whole context, added floor: every query against the distinct levels of the context."""
     df = fixture(s, d, "supp_small").withColumn("y", (F.col("balance") > 4000).cast("int"))
-    c = df.filter("split = 'context'").select("balance", "y").limit(5000).toPandas()
-    cx, cy = c["balance"].to_numpy(float), c["y"].to_numpy()
-
-    def run(batches):
-        for b in batches:
-            w = np.exp(-(((b["balance"].to_numpy(float)[:, None] - cx) / 1000.0) ** 2))
-            own = (w * (b["y"].to_numpy()[:, None] == cy)).sum(axis=1)
-            yield pd.DataFrame({"rid": b["rid"], "kappa": np.round((own + 0.001) / (w.sum(axis=1) + 0.002), 6)})
-
-    return df.filter("split = 'query'").select("rid", "balance", "y").mapInPandas(run, "rid string, kappa double")
+    c = df.filter("split = 'context'").groupBy(F.col("balance").alias("cx"), F.col("y").alias("cy")).agg(F.count("*").alias("n"))
+    w = F.col("n") * F.exp(-F.pow((F.col("balance") - F.col("cx")) / 1000.0, F.lit(2.0)))
+    pairs = df.filter("split = 'query'").select("rid", "balance", "y").crossJoin(c).select("rid", w.alias("w"), F.when(F.col("y") == F.col("cy"), w).otherwise(0.0).alias("own"))
+    kappa = (F.sum("own") + 0.001) / (F.sum("w") + 0.002)
+    return pairs.groupBy("rid").agg(F.round(kappa, 6).alias("kappa"))
 
 
 _LEVELS = "(SELECT kappa FROM sup WHERE split = 'context' ORDER BY U['0';'level';rid], rid LIMIT 500)"
