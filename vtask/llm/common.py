@@ -8,12 +8,14 @@ from __future__ import annotations
 
 import ctypes
 import gc
+import hashlib
 import tempfile
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,10 +32,13 @@ def need(df: DataFrame, *cols: str) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; one of our own only where the session names none."""
+    """The folder that all executors share; one of our own only in a local session that names none."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="vtask-checkpoint-"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="vtask-checkpoint-"))
     return sc.getCheckpointDir()
 
 
@@ -85,22 +90,7 @@ def parts_for(spark: SparkSession, amount: float, per_part: float) -> int:
 
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, 9, 10, 11, 12, 13]] = True
-_rng = np.random.default_rng(20240607)
-_BYTE = _rng.integers(0, 2**64, 256, dtype=np.uint64)
-_BASE = np.uint64(0x9E3779B97F4A7C15)
-_INV = np.uint64(pow(int(_BASE), -1, 2**64))
-_pow = {"n": 0, "p": np.ones(1, np.uint64), "q": np.ones(1, np.uint64)}
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if _pow["n"] < n:
-        n = max(n, 1 << 20)
-        for k, b in (("p", _BASE), ("q", _INV)):
-            a = np.full(n, b, np.uint64)
-            a[0] = 1
-            _pow[k] = np.multiply.accumulate(a)
-        _pow["n"] = n
-    return _pow["p"], _pow["q"]
+_LONG = 1024  # longer words are hashed one by one
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -128,31 +118,40 @@ class Docs:
         self.doc = np.repeat(np.arange(self.n), np.diff(self.word_at))
 
     def hashes(self) -> np.ndarray:
-        """64-bit hash of each word."""
-        out = np.empty(self.start.size, np.uint64)
-        step = 1 << 20
-        i = 0
-        while i < self.start.size:
-            j = max(i + 1, int(np.searchsorted(self.end, self.start[i] + step)))
-            a, b = int(self.start[i]), int(self.end[j - 1])
-            p, q = _powers(b - a + 1)
-            acc = np.empty(b - a + 1, np.uint64)
-            acc[0] = 0
-            np.cumsum(_BYTE[self.buf[a:b]] * p[: b - a], out=acc[1:])
-            s, e = self.start[i:j] - a, self.end[i:j] - a
-            out[i:j] = (acc[e] - acc[s]) * q[s] + (e - s).astype(np.uint64)
-            i = j
-        return mix64(out)
+        """64-bit hash of each word: its bytes, eight at a time, through a mixing step; one to one on words of one length up to eight."""
+        size = self.end - self.start
+        out = mix64(size.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        lanes = np.concatenate((self.buf, np.zeros(16 + -self.buf.size % 8, np.uint8))).view("<u8")
+        big = np.flatnonzero(size > _LONG)
+        at, left = np.flatnonzero(size <= _LONG), size[size <= _LONG]
+        pos = self.start[at]
+        while at.size:
+            q, r = pos >> 3, ((pos & 7) << 3).astype(np.uint64)
+            x = (lanes[q] >> r) | ((lanes[q + 1] << (np.uint64(56) - r)) << np.uint64(8))
+            x &= np.uint64(2**64 - 1) >> (64 - 8 * np.minimum(left, 8)).astype(np.uint64)
+            out[at] = mix64((out[at] ^ x) * np.uint64(0xD6E8FEB86659FD93))
+            more = left > 8
+            at, pos, left = at[more], pos[more] + 8, left[more] - 8
+        for i in big.tolist():
+            out[i] ^= np.uint64(xxhash.xxh3_64_intdigest(self.buf[self.start[i] : self.end[i]].tobytes()))
+        return out
 
     def windows(self, h: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
         """Hash of the k words from each word on, and whether they are of one document."""
         n = h.size
         if n < k:
             return np.zeros(0, np.uint64), np.zeros(0, bool)
-        acc = np.zeros(n - k + 1, np.uint64)
+        acc = np.full(n - k + 1, k, np.uint64)
         for j in range(k):
-            acc = acc * np.uint64(0xD6E8FEB86659FD93) + h[j : n - k + 1 + j]
-        return mix64(acc ^ np.uint64(k)), self.doc[: n - k + 1] == self.doc[k - 1 :]
+            acc = (acc ^ h[j : n - k + 1 + j]) * np.uint64(0xD6E8FEB86659FD93)
+            acc ^= acc >> np.uint64(32)
+        return mix64(acc), self.doc[: n - k + 1] == self.doc[k - 1 :]
+
+    def digests(self, at: np.ndarray, k: int) -> np.ndarray:
+        """64 bits of the BLAKE2b digest of the k words from each word of `at` on, as they stand."""
+        raw, f = self.buf.tobytes(), hashlib.blake2b
+        ends = self.end[at + k - 1].tolist()
+        return np.frombuffer(b"".join([f(raw[a:b], digest_size=8).digest() for a, b in zip(self.start[at].tolist(), ends, strict=True)]), "<u8").astype(np.uint64)
 
 
 def to_planes(a: np.ndarray) -> bytes:

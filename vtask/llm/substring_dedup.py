@@ -4,19 +4,24 @@ Fixed-block anchors: every document is cut into non-overlapping reference
 blocks of ``(window + 1) // 2`` words, and every rolling window of that many
 words probes the index of blocks. Two documents that share ``window`` words
 share, wherever the passage lies in either, at least one reference block, so no
-repeat is missed. A hit is then extended to the windows of ``window`` words
-around it, and neighbouring windows that also start in an earlier document
-merge into maximal repeats.
+repeat is missed. Around each hit the windows of ``window`` words that hold it
+are compared, and neighbouring ones that also start in an earlier document grow
+into maximal exact repeats.
+
+Equality: hashes of words only select. Words of two windows count as equal if
+their rolling hashes and the BLAKE2b digests of their bytes agree, 128 bits
+together, so words whose hashes collide stay apart.
 
 Movement of data: documents are packed once into compressed chunks in shared
-storage. Between chunks only sorted hashes travel, each chunk's own repeats
-merged before, so a passage found in a third of all documents costs one entry a
-chunk. The index is dealt by hash to as many parts as the corpus needs; nothing
-is broadcast and nothing comes to the driver but one sum.
+storage, words set one space apart. Between chunks only sorted hashes and
+digests travel, each chunk's own repeats merged before, so a passage found in a
+third of all documents costs one entry a chunk. The index is dealt by hash to as
+many parts as the corpus needs; a chunk sends rows only to parts that it has
+entries for. Chunks go to tasks in turn, so each task holds as many. Nothing is
+broadcast and nothing comes to the driver but a sum and a maximum.
 
-Hashes: a block's is cut to 31 bits besides its part's number (a false hit only
-adds windows to verify); a window is identified by 64 bits besides its part's
-number, which grows with the corpus.
+A block's hash is cut to 31 bits besides its part's number; a false hit only
+adds windows to compare.
 
 Defined cases: null or blank text has no words; a null id counts as larger than
 all others; rows with equal ids never remove from one another; an empty table
@@ -61,7 +66,7 @@ def _packer(chunk: int):
             for i, t in zip(b.column(0).to_pylist(), text_values(b.column(1)), strict=True):
                 ids.append(_NULL_ID if i is None else i)
                 nulls.append(i is None)
-                texts.append(t)
+                texts.append(b" ".join(t.split()))
                 size += len(t)
                 if size >= chunk:
                     yield flush()
@@ -102,12 +107,13 @@ class _Chunk:
             place = np.arange(r.size) - d.word_at[:-1][d.doc[: r.size]]
             yield i, d, h, key, ok, place % k == 0
 
-    def passages(self, d: Docs, h: np.ndarray, w: int):
-        return d.windows(h, w)
-
 
-def _by_part(keys: np.ndarray, part: np.ndarray, parts: int) -> np.ndarray:
-    return np.searchsorted(part, np.arange(parts + 1, dtype=np.uint64))
+def _runs(part: np.ndarray):
+    """(part, first, behind the last) of each run of equal parts."""
+    if not part.size:
+        return iter(())
+    first = np.flatnonzero(np.concatenate(([True], part[1:] != part[:-1])))
+    return zip(part[first].tolist(), first.tolist(), [*first[1:].tolist(), part.size], strict=True)
 
 
 def _emit_blocks(k: int, parts: int):
@@ -118,10 +124,8 @@ def _emit_blocks(k: int, parts: int):
                 got = [(key[ok] << np.uint64(1)) | (~ref[ok]).astype(np.uint64) for _, _, _, key, ok, ref in c.blocks(k, parts)]
                 v = np.sort(np.concatenate(got)) if got else np.zeros(0, np.uint64)
                 v = v[np.concatenate(([True], v[1:] >> np.uint64(1) != v[:-1] >> np.uint64(1)))] if v.size else v  # a reference block comes first
-                part = v >> np.uint64(32)
-                at = _by_part(v, part, parts)
                 low = (v & np.uint64(0xFFFFFFFF)).astype(np.uint32)
-                yield _batch([(bid, 1, p, to_planes(low[at[p] : at[p + 1]])) for p in range(parts) if at[p] < at[p + 1]])
+                yield _batch([(bid, 1, p, to_planes(low[a:z])) for p, a, z in _runs(v >> np.uint64(32))])
 
     return emit
 
@@ -178,7 +182,7 @@ def _emit_windows(k: int, w: int, parts: int):
             own = every[1:][every[1:] == every[:-1]]
             hits = [np.uint64(p) << np.uint64(31) | from_planes(x, np.uint32).astype(np.uint64) for p, x in more.pop(bid, [])]
             hits = np.unique(np.concatenate([*hits, own]))
-            hs, ids = [], []
+            vs, ds, ids = [], [], []
             for i, d, h, key, ok, _ in subs:
                 if not hits.size or h.size < w:
                     continue
@@ -186,41 +190,48 @@ def _emit_windows(k: int, w: int, parts: int):
                 near = np.concatenate(([0], np.cumsum((hits[at] == key) & ok)))
                 span = w - k + 1
                 win, good = d.windows(h, w)
-                sel = good & (near[span : span + win.size] > near[: win.size])
-                hs.append(win[sel])
-                ids.append(c.ids[i + d.doc[: win.size][sel]])
-            if not hs:
+                at = np.flatnonzero(good & (near[span : span + win.size] > near[: win.size]))
+                vs.append(win[at])
+                ds.append(d.digests(at, w))
+                ids.append(c.ids[i + d.doc[at]])
+            if not vs:
                 continue
-            v, at = np.unique(np.concatenate(hs), return_index=True)  # ids rise, so the first has the smallest
-            low = np.concatenate(ids)[at]
+            v, d, low = np.concatenate(vs), np.concatenate(ds), np.concatenate(ids)
             part = ((mix64(v ^ np.uint64(0x5851F42D4C957F2D)) >> np.uint64(32)) * np.uint64(parts)) >> np.uint64(32)
-            order = np.argsort(part, kind="stable")
-            v, low, part = v[order], low[order], part[order]
-            at = _by_part(v, part, parts)
-            yield _batch([(bid, 3, p, to_planes(v[at[p] : at[p + 1]]) + plain_planes(low[at[p] : at[p + 1]])) for p in range(parts) if at[p] < at[p + 1]])
+            order = np.lexsort((d, v, part))  # stable, and ids rise, so the first of equal windows has the smallest
+            v, d, low, part = v[order], d[order], low[order], part[order]
+            one = _new(v, d)
+            v, d, low, part = v[one], d[one], low[one], part[one]
+            yield _batch([(bid, 3, p, to_planes(v[a:z]) + plain_planes(d[a:z]) + plain_planes(low[a:z])) for p, a, z in _runs(part)])
 
     return emit
 
 
+def _new(v: np.ndarray, d: np.ndarray) -> np.ndarray:
+    """Which windows differ from the one before, in hash or in digest."""
+    out = np.ones(v.size, bool)
+    out[1:] = (v[1:] != v[:-1]) | (d[1:] != d[:-1])
+    return out
+
+
 def _earlier(batches):
     """Which windows of each chunk start in a document of another chunk with a smaller id than all of its own."""
     got = _gather(batches)
     for part in sorted(got):
         rows = got.pop(part)
-        halves = [(x[: len(x) // 2], x[len(x) // 2 :]) for _, x in rows]
-        arrays = [from_planes(a, np.uint64) for a, _ in halves]
-        v, low = np.concatenate(arrays), np.concatenate([from_plain_planes(b, np.int64) for _, b in halves])
+        thirds = [(x[: len(x) // 3], x[len(x) // 3 : len(x) // 3 * 2], x[len(x) // 3 * 2 :]) for _, x in rows]
+        arrays = [from_planes(a, np.uint64) for a, _, _ in thirds]
+        v, d, low = np.concatenate(arrays), np.concatenate([from_plain_planes(b, np.uint64) for _, b, _ in thirds]), np.concatenate([from_plain_planes(b, np.int64) for _, _, b in thirds])
         who = np.repeat(np.arange(len(rows)), [a.size for a in arrays])
-        order = np.argsort(v, kind="stable")
-        v, low, who = v[order], low[order], who[order]
-        first = np.flatnonzero(np.concatenate(([True], v[1:] != v[:-1])))
+        order = np.lexsort((d, v))
+        v, d, low, who = v[order], d[order], low[order], who[order]
+        first = np.flatnonzero(_new(v, d))
         least = np.repeat(np.minimum.reduceat(low, first), np.diff(np.append(first, v.size)))
         sel = least < low
-        v, who = v[sel], who[sel]
+        v, d, who = v[sel], d[sel], who[sel]
         order = np.argsort(who, kind="stable")
-        v, who = v[order], who[order]
-        at = np.searchsorted(who, np.arange(len(rows) + 1))
-        yield _batch([(rows[i][0], 4, part, to_planes(v[at[i] : at[i + 1]])) for i in range(len(rows)) if at[i] < at[i + 1]])
+        v, d = v[order], d[order]
+        yield _batch([(rows[i][0], 4, part, to_planes(v[a:z]) + plain_planes(d[a:z])) for i, a, z in _runs(who[order])])
 
 
 def _strip(w: int):
@@ -228,25 +239,33 @@ def _strip(w: int):
         chunk, more = _by_chunk(batches)
         for bid in sorted(chunk):
             c = _Chunk(chunk.pop(bid))
-            remote = np.unique(np.concatenate([np.zeros(0, np.uint64), *(from_planes(x, np.uint64) for _, x in more.pop(bid, []))]))
-            subs, wins = [], []
+            told = [(x[: len(x) // 2], x[len(x) // 2 :]) for _, x in more.pop(bid, [])]
+            rv = np.concatenate([np.zeros(0, np.uint64), *(from_planes(a, np.uint64) for a, _ in told)])
+            rd = np.concatenate([np.zeros(0, np.uint64), *(from_plain_planes(b, np.uint64) for _, b in told)])
+            subs = []
             for i, d in c.subs():
                 win, good = d.windows(d.hashes(), w)
                 at = np.flatnonzero(good)
-                subs.append((i, d, at))
-                wins.append((win[at], c.ids[i + d.doc[at]]))
-            v = np.concatenate([a for a, _ in wins]) if wins else np.zeros(0, np.uint64)
-            ids = np.concatenate([b for _, b in wins]) if wins else np.zeros(0, np.int64)
+                subs.append((i, d, at, win[at]))
+            v = np.sort(np.concatenate([np.zeros(0, np.uint64), *(x[3] for x in subs)]))
+            known = np.unique(np.concatenate((rv, v[1:][v[1:] == v[:-1]])))
+            # windows whose hash occurs more than once, here or by an answer: their words decide
+            some = [np.flatnonzero(known[np.minimum(np.searchsorted(known, x[3]), known.size - 1)] == x[3]) if known.size else np.zeros(0, np.int64) for x in subs]
+            v = np.concatenate([rv, *(x[3][s] for x, s in zip(subs, some, strict=True))])
+            dig = np.concatenate([rd, *(x[1].digests(x[2][s], w) for x, s in zip(subs, some, strict=True))])
+            ids = np.concatenate([np.zeros(rv.size, np.int64), *(c.ids[x[0] + x[1].doc[x[2][s]]] for x, s in zip(subs, some, strict=True))])
             drop = np.zeros(v.size, bool)
             if v.size:
-                _, first, back = np.unique(v, return_index=True, return_inverse=True)
-                drop = ids[first][back] < ids
-                if remote.size:
-                    drop |= remote[np.minimum(np.searchsorted(remote, v), remote.size - 1)] == v
-            done = 0
-            for i, d, at in subs:
-                start = at[drop[done : done + at.size]]
-                done += at.size
+                order = np.lexsort((dig, v))
+                group = np.cumsum(_new(v[order], dig[order])) - 1
+                first = np.flatnonzero(_new(v[order], dig[order]))
+                far = np.logical_or.reduceat(order < rv.size, first)
+                low = np.minimum.reduceat(np.where(order < rv.size, _NULL_ID, ids[order]), first)
+                drop[order] = far[group] | (low[group] < ids[order])
+            done = rv.size
+            for (i, d, at, _), s in zip(subs, some, strict=True):
+                start = at[s[drop[done : done + s.size]]]
+                done += s.size
                 yield _stripped(c, i, d, start, w)
 
     return strip
@@ -308,9 +327,12 @@ def remove_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col:
     parts = parts_for(spark, text_bytes(src, "text"), part_bytes)
     chunks = settle(src.mapInArrow(tidy(_packer(chunk_bytes)), "data binary").select(F.monotonically_increasing_id().alias("bid"), F.lit(0).alias("kind"), F.lit(0).alias("part"), "data"))
     hits = settle(chunks.mapInArrow(tidy(_emit_blocks(k, parts)), _ROW).repartitionById(parts, "part").mapInArrow(tidy(_probe), _ROW))
+    # a chunk's id holds its task and its place there; in turn, so that tasks get equal shares
+    most = (chunks.agg(F.max(F.col("bid").bitwiseAND((1 << 33) - 1))).first()[0] or 0) + 1
+    turn = F.pmod(F.shiftrightunsigned("bid", 33) * F.lit(most) + F.col("bid").bitwiseAND((1 << 33) - 1), F.lit(parts)).cast("int")
 
     def beside(answers: DataFrame) -> DataFrame:
-        return chunks.unionAll(answers).repartition(parts, "bid")
+        return chunks.unionAll(answers).repartitionById(parts, turn)
 
     later = settle(beside(hits).mapInArrow(tidy(_emit_windows(k, window, parts)), _ROW).repartitionById(parts, "part").mapInArrow(tidy(_earlier), _ROW))
     return beside(later).mapInArrow(tidy(_strip(window)), "doc_id long, n_words long, n_removed long, kept_text string, removed_spans array<struct<start:long,end:long>>")
