@@ -75,3 +75,18 @@ def test_mix(spark, awkward):
     odd = mix_sources(awkward.withColumn("size", F.lit("x")).withColumn("target", F.lit(1)).withColumn("id", F.lit(1))).collect()
     assert len(odd) == 12 and {r.size for r in odd if r.doc_id in (2, 3, 4)} == {0}
     assert mix_sources(awkward.limit(0)).count() == 0
+
+
+def test_rows_that_repeat_an_id_are_split(spark):
+    rows = [(None, "w w w w w w w w w w", "a")] * 500 + [(7, "w w w", "a")] * 40 + [(i, "w " * (i % 9), "b") for i in range(900)] + [(None, "w w", None)] * 333
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(5)
+    got = mix_sources(df).collect()
+    assert len(got) == len(rows)
+    taken, target = defaultdict(int), {}
+    for r in got:
+        taken[r.source] += r.taken
+        target[r.source] = r.target
+        assert 0 <= r.times <= 3
+    assert all(abs(taken[s] - target[s]) <= 1.5 for s in target), (taken, target)
+    again = mix_sources(df.repartition(3)).collect()
+    assert sorted(map(str, again)) == sorted(map(str, got))

@@ -17,9 +17,12 @@ Movement of data: (id, source, size) rows only; text is read once. One row a
 source is sorted in one task (with spill); a source's histogram has a row a
 distinct length.
 
-Defined cases: null text has size 0; null source is a source; rows that repeat
-an id in a source at a size are taken together; an empty table gives an empty
-result; other columns are ignored.
+Rows that repeat an id at one size of a source are told apart by `tie`, a number
+whose bits from the 34th on name a group of rows small enough for one task; such
+rows are alike in the result, so reruns agree whichever of them is taken.
+
+Defined cases: null text has size 0; null source is a source; null ids repeat
+like any other; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -141,23 +144,34 @@ def _fit(pdf: pd.DataFrame) -> pd.DataFrame:
 
 
 def mix_plan(sized: DataFrame, weights: tuple[float, ...] = (1, 2, 3), cap: float = 3, seed: int = 42) -> DataFrame:
-    """A row a (source, size) of sized(id, source, size): how often its documents are taken, and the cut in hash order up to which they are taken once more."""
+    """A row a (source, size) of sized(id, source, size, tie): how often its documents are taken, and the cut in hash order up to which they are taken once more."""
     hist = settle(sized.groupBy("source", "size").agg(F.count("*").alias("n")))
     src = settle(source_targets(hist.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size")), weights, cap))
     ranked = _beside(hist, src, ["source"]).select("rank", "size", "n", "target")
     fit = ranked.groupBy("rank").applyInPandas(_fit, "rank long, size long, n long, base long, extra long")
     plan = settle(fit.join(src, "rank").select("source", "size", "n", "source_size", "target", "base", "extra", F.ceil(F.sqrt("n")).alias("buckets")))
-    # the cut: the bucket in which the last document taken lies, then its place there
+    # the cut: the bucket in which the last document taken lies, its place among the ids there, then among rows that repeat the id
     some = plan.filter("extra > 0 AND extra < n").select("source", "size", "extra", "buckets")
-    rows = _beside(sized, some, ["source", "size"]).select("source", "size", "id", "extra", "buckets", hash_key(seed).alias("h")).withColumn("b", F.pmod("h", "buckets"))
-    part = Window.partitionBy("source", "size").orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
-    count = rows.groupBy("source", "size", "b", "extra").agg(F.count("*").alias("c")).withColumn("before", F.coalesce(F.sum("c").over(part), F.lit(0)))
-    last = count.filter("before < extra AND before + c >= extra").select("source", "size", "b", (F.col("extra") - F.col("before")).alias("place"))
-    turn = F.row_number().over(Window.partitionBy("source", "size", "b").orderBy("h", "id"))
-    cut = _beside(rows, last, ["source", "size", "b"]).withColumn("turn", turn).filter("turn = place").select("source", "size", F.struct("b", "h", "id").alias("cut"))
+    rows = _beside(sized, some, ["source", "size"]).select("source", "size", "id", "tie", "extra", "buckets", hash_key(seed).alias("h")).withColumn("b", F.pmod("h", "buckets"))
+    count = rows.groupBy("source", "size", "b", "extra").agg(F.count("*").alias("c"))
+    last = _reached(count, ["b"], "extra").select("source", "size", "b", "place")
+    ids = _beside(rows, last, ["source", "size", "b"]).groupBy("source", "size", "b", "h", "id", "place").agg(F.count("*").alias("c"))
+    at = settle(_reached(ids, ["h", "id"], "place").select("source", "size", "b", "h", "id", "place", "c"))
+    tied = _beside(sized, at.filter("place < c").select("source", "size", "id", "place"), ["source", "size", "id"]).withColumn("task", F.shiftrightunsigned("tie", 33))
+    tasks = _reached(tied.groupBy("source", "size", "place", "task").agg(F.count("*").alias("c")), ["task"], "place").select("source", "size", "task", F.col("place").alias("turn"))
+    turn = F.row_number().over(Window.partitionBy("source", "size", "task").orderBy("tie"))
+    ties = _beside(tied.drop("place"), tasks, ["source", "size", "task"]).withColumn("now", turn).filter("now = turn").select("source", "size", "tie")
+    cut = _beside(at, ties, ["source", "size"], "left").select("source", "size", F.struct("b", "h", "id", F.coalesce("tie", F.lit(2**63 - 1)).alias("tie")).alias("cut"))
     return _beside(plan, cut, ["source", "size"], "left").select("source", "size", "source_size", "target", "base", F.when(F.col("extra") == F.col("n"), 1).otherwise(0).alias("all_once_more"), "cut", "buckets")
 
 
+def _reached(counts: DataFrame, order: list[str], goal: str) -> DataFrame:
+    """The row of each (source, size) in which the running sum of c reaches goal, with place, what goal is within the row."""
+    before = F.coalesce(F.sum("c").over(Window.partitionBy("source", "size").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    now = counts.withColumn("__goal", F.col(goal)).withColumn("__before", before).filter("__before < __goal AND __before + c >= __goal")
+    return now.withColumn("place", F.col("__goal") - F.col("__before")).drop("__goal", "__before")
+
+
 def _beside(a: DataFrame, b: DataFrame, keys: list[str], how: str = "inner") -> DataFrame:
     """Join on keys that may be null; the result has each key once."""
     b = b.withColumnsRenamed({k: f"r_{k}" for k in keys})
@@ -170,17 +184,18 @@ def hash_key(seed: int) -> F.Column:
 
 
 def apply_plan(rows: DataFrame, plan: DataFrame, seed: int = 42) -> DataFrame:
-    """rows(id, source, size, ...) with source_size, target and times; plan as mix_plan made it, with the same seed."""
+    """rows(id, source, size, tie, ...) with source_size, target and times; plan as mix_plan made it, with the same seed."""
     h = hash_key(seed)
-    once = F.coalesce(F.struct(F.pmod(h, F.col("buckets")).alias("b"), h.alias("h"), F.col("id").alias("id")) <= F.col("cut"), F.lit(False)).cast("int")
+    own = F.struct(F.pmod(h, F.col("buckets")).alias("b"), h.alias("h"), F.col("id").alias("id"), F.col("tie").alias("tie"))
+    once = F.coalesce(own <= F.col("cut"), F.lit(False)).cast("int")
     times = F.col("base") + F.col("all_once_more") + once
-    return _beside(rows, plan, ["source", "size"]).withColumn("times", times).drop("base", "all_once_more", "cut", "buckets")
+    return _beside(rows, plan, ["source", "size"]).withColumn("times", times).drop("base", "all_once_more", "cut", "buckets", "tie")
 
 
 def mix_sources(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), cap: float = 3, seed: int = 42) -> DataFrame:
     """One row per row of docs: doc_id, source, size, source_size, target, times, taken (= times * size)."""
     need(docs, id_col, text_col, source_col)
-    sized = settle(docs.select(F.col(id_col).cast("long").alias("id"), F.col(source_col).cast("string").alias("source"), word_count(text_col).alias("size")))
+    sized = settle(docs.select(F.col(id_col).cast("long").alias("id"), F.col(source_col).cast("string").alias("source"), word_count(text_col).alias("size"), F.monotonically_increasing_id().alias("tie")))
     out = apply_plan(sized, mix_plan(sized, weights, cap, seed), seed)
     return out.select(F.col("id").alias("doc_id"), "source", "size", "source_size", "target", "times", (F.col("times") * F.col("size")).alias("taken"))
 
