@@ -8,7 +8,12 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from vtask.llm.png_media import SIGNATURE, _chunk, _paeth, cosine_hash, op6_png_media, png_decode, png_encode, read_media, store_texts
+from vtask.llm.png_media import SIGNATURE, _chunk, cosine_hash, op6_png_media, png_decode, png_encode, read_media, store_texts
+
+
+def _paeth(a, b, c):
+    p = a + b - c
+    return min((abs(p - a), 0, a), (abs(p - b), 1, b), (abs(p - c), 2, c))[2]
 
 
 def filtered(img, kinds, bpp):
@@ -68,3 +73,25 @@ def test_columns(spark, awkward, tmp_path):
     bad = spark.createDataFrame([(1, None), (2, bytearray(b"nothing"))], "k int, media binary")
     assert [(r.k, r.payload, r.error) for r in read_media(bad).orderBy("k").collect()] == [(1, None, None), (2, None, "no PNG signature")]
     assert read_media(store_texts(awkward.limit(0))).count() == 0
+
+
+def _image(head, raw, level=9):
+    return SIGNATURE + _chunk(b"IHDR", head) + _chunk(b"IDAT", zlib.compress(raw, level)) + _chunk(b"IEND", b"")
+
+
+def test_broken_headers_and_bombs_are_faults_of_their_row(spark):
+    head = struct.pack(">IIBBBBB", 64, 1, 8, 0, 0, 0, 0)
+    good = _image(head, b"\0" + b"x" * 64)
+    bad = [_image(head[:-1], b"\0" * 65), _image(head + b"\0", b"\0" * 65), _image(b"", b""), _image(head, b"\0" * 200_000_000, 1), _image(struct.pack(">IIBBBBB", 2**31, 2**31, 8, 0, 0, 0, 0), b"\0")]
+    bad += [_image(struct.pack(">IIBBBBB", 0, 5, 8, 0, 0, 0, 0), b"\0" * 5), _image(head, b"\5" + b"x" * 64), _image(head, b"\0" + b"x" * 63)]
+    df = spark.createDataFrame([(i, bytearray(x)) for i, x in enumerate([good, *bad])], "k int, media binary")
+    got = sorted(read_media(df).select("k", "payload", "error").collect())
+    assert bytes(got[0].payload) == b"x" * 64 and got[0].error is None
+    assert all(r.payload is None and r.error for r in got[1:]), got
+
+
+def test_tall_images_of_late_filters():
+    rng = np.random.default_rng(4)
+    img = rng.integers(0, 256, (300, 33), dtype=np.uint8)
+    kinds = np.repeat(rng.integers(0, 5, 60), 5)
+    assert (png_decode(_image(struct.pack(">IIBBBBB", 33, 300, 8, 0, 0, 0, 0), filtered(img, kinds, 1))) == img).all()

@@ -3,7 +3,8 @@
 The writer stores a payload as 8-bit grey samples, `width` to a row, and takes
 whichever of the filters none, sub and up leaves the smallest differences. The
 reader walks the chunks, tests each checksum, inflates the image data, undoes
-all five row filters (rows of one kind together where the kind allows it) and
+all five row filters (rows of one kind together, those that need their left and
+upper samples along diagonals), inflates no more than the header promises and
 computes a 64-bit hash: the signs, about their median, of the 8 x 8 lowest
 frequencies of the cosine transform of the image shrunk to 32 x 32.
 
@@ -55,44 +56,45 @@ def png_encode(payload: bytes, width: int = 64, level: int = 6) -> bytes:
     return SIGNATURE + _chunk(b"IHDR", head) + b"".join(_chunk(b"IDAT", data[i : i + _IDAT]) for i in range(0, len(data), _IDAT)) + _chunk(b"IEND", b"")
 
 
-def _paeth(a: int, b: int, c: int) -> int:
-    p = a + b - c
-    pa_, pb, pc = abs(p - a), abs(p - b), abs(p - c)
-    return a if pa_ <= pb and pa_ <= pc else b if pb <= pc else c
+def _along_diagonals(block: np.ndarray, kinds: np.ndarray, above: np.ndarray, bpp: int) -> None:
+    """Undo filters 3 and 4 in place: a sample needs its left, upper and upper left ones, so all of one diagonal are done at once."""
+    high, wide = block.shape[0], block.shape[1] // bpp
+    done = np.zeros((high + 1, wide + 1, bpp), np.int16)
+    done[0, 1:] = above.reshape(wide, bpp)
+    raw = block.reshape(high, wide, bpp)
+    for t in range(high + wide - 1):
+        r = np.arange(max(0, t - wide + 1), min(high, t + 1))
+        x = t - r
+        a, b, c = done[r + 1, x], done[r, x + 1], done[r, x]
+        pa_, pb, pc = np.abs(b - c), np.abs(a - c), np.abs(a + b - 2 * c)
+        paeth = np.where((pa_ <= pb) & (pa_ <= pc), a, np.where(pb <= pc, b, c))
+        done[r + 1, x + 1] = (raw[r, x] + np.where(kinds[r, None] == 3, (a + b) >> 1, paeth)) & 255
+    block[:] = done[1:, 1:].reshape(block.shape)
 
 
 def _unfilter(raw: np.ndarray, height: int, stride: int, bpp: int) -> np.ndarray:
     rows = raw.reshape(height, stride + 1)
     kinds, out = rows[:, 0], rows[:, 1:].copy()
-    i = 0
-    while i < height:
-        kind = int(kinds[i])
-        j = i + 1
-        while j < height and kinds[j] == kind:
-            j += 1
+    if (kinds > 4).any():
+        raise ValueError(f"unknown row filter {int(kinds.max())}")
+    sort = np.minimum(kinds, 3)  # runs of rows that are undone together
+    first = np.flatnonzero(np.concatenate(([True], sort[1:] != sort[:-1])))
+    for i, j in zip(first.tolist(), [*first[1:].tolist(), height], strict=True):
         block = out[i:j]
-        if kind == 1:  # running sums along each row, for each byte of a sample
+        if sort[i] == 1:  # running sums along each row, for each byte of a sample
             for c in range(bpp):
                 block[:, c::bpp] = np.cumsum(block[:, c::bpp], axis=1, dtype=np.uint8)
-        elif kind == 2:  # running sums down the columns
+        elif sort[i] == 2:  # running sums down the columns
             if i:
                 block[0] += out[i - 1]
             block[:] = np.cumsum(block, axis=0, dtype=np.uint8)
-        elif kind in (3, 4):
-            for r in range(i, j):
-                line, up = out[r].tolist(), out[r - 1].tolist() if r else [0] * stride
-                for x in range(stride):
-                    a, c = (line[x - bpp], up[x - bpp]) if x >= bpp else (0, 0)
-                    line[x] = (line[x] + ((a + up[x]) // 2 if kind == 3 else _paeth(a, up[x], c))) & 255
-                out[r] = line
-        elif kind:
-            raise ValueError(f"unknown row filter {kind}")
-        i = j
+        elif sort[i] == 3:
+            _along_diagonals(block, kinds[i:j], out[i - 1] if i else np.zeros(stride, np.uint8), bpp)
     return out
 
 
-def png_decode(data: bytes) -> np.ndarray:
-    """Samples of an 8-bit image, (height, width * channels); ValueError on damage or an unsupported kind."""
+def png_decode(data: bytes, most: int = 1 << 30) -> np.ndarray:
+    """Samples of an 8-bit image, (height, width * channels); ValueError on damage, an unsupported kind or more than `most` bytes of samples."""
     if data[:8] != SIGNATURE:
         raise ValueError("no PNG signature")
     at, head, idat, ended = 8, None, [], False
@@ -106,6 +108,8 @@ def png_decode(data: bytes) -> np.ndarray:
         if zlib.crc32(kind + body) != struct.unpack_from(">I", data, at + 8 + size)[0]:
             raise ValueError(f"checksum of {kind.decode('latin-1')} is wrong")
         if kind == b"IHDR":
+            if size != 13:
+                raise ValueError("the header has the wrong length")
             head = struct.unpack(">IIBBBBB", body)
         elif kind == b"IDAT":
             idat.append(body)
@@ -121,11 +125,15 @@ def png_decode(data: bytes) -> np.ndarray:
     if depth != 8 or color not in CHANNELS or packing or filtering or interlace:
         raise ValueError(f"unsupported: depth {depth}, colour type {color}, interlace {interlace}")
     bpp = CHANNELS[color]
-    try:
-        raw = zlib.decompress(b"".join(idat))
+    want = height * (width * bpp + 1)
+    if not width or not height or want > most:
+        raise ValueError(f"unsupported: {width} x {height} samples")
+    inflate = zlib.decompressobj()
+    try:  # never more than the header promises
+        raw = inflate.decompress(b"".join(idat), want + 1)
     except zlib.error as e:
         raise ValueError(f"image data: {e}") from None
-    if len(raw) != height * (width * bpp + 1):
+    if len(raw) != want or not inflate.eof:
         raise ValueError("image data have the wrong length")
     return _unfilter(np.frombuffer(raw, np.uint8), height, width * bpp, bpp)
 
