@@ -1,12 +1,13 @@
 from __future__ import annotations
 
 import math
-from collections import defaultdict
+import re
+import time
 
 import numpy as np
 from pyspark.sql import functions as F
 
-from vtask.llm.language_id import fit_text_model, fuse, gram_features, host_parts, identify_languages, page_evidence, visible
+from vtask.llm.language_id import declared_language, fit_text_model, fuse, gram_features, host_parts, identify_languages, page_evidence, visible
 
 
 def test_parts():
@@ -34,23 +35,19 @@ def brute(rows, langs, strength=2.0, alpha=0.5):
     p = []
     for *_, ll in rows:
         e = [math.exp(x) for x in ll]
-        p.append([x / sum(e) for x in e])
-    sums = {c: defaultdict(lambda: [0.0] * k) for c in range(1, 5)}
-    for r, q in zip(rows, p, strict=True):
-        for c in range(1, 5):
-            sums[c][r[c]] = [a + round(b, 6) for a, b in zip(sums[c][r[c]], q, strict=True)]
-    base = np.sum(np.round(p, 6), axis=0)
-    base = (base + alpha) / (base.sum() + alpha * k)
+        p.append(np.array([max(round(x / sum(e), 6), 1e-6) for x in e]))
     out = {}
-    for r, q in zip(rows, p, strict=True):
-        d, h = np.array(sums[2][r[2]]), np.array(sums[1][r[1]])
-        dom = (d + strength * base) / (d.sum() + strength)
-        prior = (h + strength * dom) / (h.sum() + strength)
-        like = np.ones(k)
+    for n, (r, q) in enumerate(zip(rows, p, strict=True)):
+        others = [(x, y) for m, (x, y) in enumerate(zip(rows, p, strict=True)) if m != n]  # a page's own text is counted once only
+
+        def total(c=None, rest=others, me=r):
+            return sum((y for x, y in rest if c is None or x[c] == me[c]), np.zeros(k))
+
+        base = (total() + alpha) / (total().sum() + alpha * k)
+        dom = (total(2) + strength * base) / (total(2).sum() + strength)
+        f = q * (total(1) + strength * dom) / (total(1).sum() + strength)
         for c in (3, 4):
-            tot = np.sum(list(sums[c].values()), axis=0)
-            like *= (np.array(sums[c][r[c]]) + alpha) / (tot + alpha * len(sums[c]))
-        f = np.array(q) * prior * like
+            f = f * (total(c) + alpha) / (total() + alpha * len({x[c] for x in rows}))
         f /= f.sum()
         out[r[0]] = (langs[int(f.argmax())], round(float(f.max()), 6))
     return out
@@ -79,3 +76,46 @@ def test_awkward(spark, awkward):
     assert identify_languages(pages, awkward.withColumn("lang", F.lit(None))).count() == 0
     langs, table = fit_text_model(awkward)
     assert page_evidence(pages, (langs, table)).count() == 4
+
+
+DROP = re.compile(rb"(?is)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>|&[a-zA-Z#0-9]{1,8};")
+LANG = re.compile(rb"(?is)<html\b[^>]*?\blang\s*=\s*[\"']?\s*([a-zA-Z]{2,8})")
+
+
+def test_markup_equals_plain_patterns():
+    rng = np.random.default_rng(3)
+    bits = [b"<", b">", b"<!--", b"-->", b"<script", b"</script >", b"<style>", b"</STYLE>", b"text", b" ", b"&amp;", b"<p>", b"<html", b" lang=", b"'fr'", b"de ", b"xml:lang = en", b"-"]
+    for _ in range(20000):
+        t = b"".join(bits[i] for i in rng.integers(0, len(bits), rng.integers(0, 14)))
+        assert b"".join(visible(t).split()) == b"".join(DROP.sub(b" ", t).split()), t
+        m = LANG.search(t)
+        assert declared_language(t) == (m[1].decode().lower() if m else ""), t
+
+
+def test_open_markup_takes_linear_time():
+    start = time.perf_counter()
+    for t in (b"<!-- x ", b"<script a ", b"<html a ", b"<html lang ", b"<", b"</script ", b"<style>", b"&aaaaaaaaa"):
+        for end in (b"", b">", b"-->"):
+            visible(t * 150_000 + end)
+            declared_language(t * 150_000 + end)
+    assert time.perf_counter() - start < 30
+
+
+def test_text_likelihood_by_hand(spark):
+    docs = [(1, "abc abd", "en"), (2, "abc", "en"), (3, "xyz", "fr"), (4, None, "fr"), (5, "zzz", None)]
+    langs, table = fit_text_model(spark.createDataFrame(docs, "doc_id long, text string, lang string"))
+    counts = {"en": {}, "fr": {}}
+    for _, t, x in docs:
+        if x:
+            for f in gram_features([(t or "").encode()])[1].tolist():
+                counts[x][f] = counts[x].get(f, 0) + 1
+    assert langs == ["en", "fr"]
+    for k, x in enumerate(langs):
+        n = sum(counts[x].values()) + 0.5 * table.shape[1]
+        for f in (0, *counts["en"], *counts["fr"]):
+            assert abs(table[k, f] - math.log((counts[x].get(f, 0) + 0.5) / n)) < 1e-12
+    page = spark.createDataFrame([(1, "http://a.b/", "<b>abc</b> xyz xyz")], "page_id long, url string, html string")
+    got = page_evidence(page, (langs, table)).first()
+    f = gram_features([b" abc  xyz xyz"])[1]
+    ll = [float(sum(table[k, x] for x in f)) for k in range(2)]
+    assert got.n_features == f.size and np.allclose(got.ll, np.array(ll) - max(ll), atol=1e-5)

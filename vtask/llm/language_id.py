@@ -5,7 +5,8 @@ three-byte features, naive Bayes from labelled documents), the language that its
 markup declares, the suffix of its address, and a prior of its host. A first
 posterior from the text alone gives soft counts; grouped sums of these give
 P(declared | language) and P(suffix | language), and a prior of each host that
-is smoothed by its domain's, which is smoothed by the whole corpus's. The fused
+is smoothed by its domain's, which is smoothed by the whole corpus's. A page's
+own count is left out of all four, as its text speaks for itself. The fused
 posterior is their product.
 
 A text is not a bag of independent draws, so its log-likelihood counts as that
@@ -35,8 +36,11 @@ from pyspark.sql import functions as F
 from vtask.llm.common import need, settle, sliced, text_values, tidy
 
 _DIM = 1 << 13
-_DROP = re.compile(rb"(?is)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>|&[a-zA-Z#0-9]{1,8};")
-_LANG = re.compile(rb"(?is)<html\b[^>]*?\blang\s*=\s*[\"']?\s*([a-zA-Z]{2,8})")
+_ENTITY = re.compile(rb"&[a-zA-Z#0-9]{1,8};")
+_HIDDEN = re.compile(rb"(?i)<(script|style)\b")
+_CLOSE = {k: re.compile(rb"(?i)</" + k + rb"\s*+>") for k in (b"script", b"style")}
+_HTML = re.compile(rb"(?i)<html\b")
+_LANG = re.compile(rb"(?i)\blang\s*+=\s*+[\"']?\s*+([a-zA-Z]{2,8})")
 _HOST = re.compile(r"(?i)^[a-z][a-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)")
 _LETTER = np.zeros(256, np.uint8)
 for _c in range(256):
@@ -60,7 +64,38 @@ def gram_features(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def visible(html: bytes) -> bytes:
-    return _DROP.sub(b" ", html)
+    """html with a blank for each comment, script, style, tag and entity; what is never closed counts as a plain tag, or as text if it has no end either. One pass."""
+    out, at, never = [], 0, set()
+    while (i := html.find(b"<", at)) >= 0:
+        end = -1
+        m = _HIDDEN.match(html, i)
+        kind = b"--" if html.startswith(b"<!--", i) else m[1].lower() if m else None
+        if kind and kind not in never:
+            if kind == b"--":
+                end = html.find(b"-->", i + 4) + 3 if html.find(b"-->", i + 4) >= 0 else -1
+            elif c := _CLOSE[kind].search(html, m.end()):
+                end = c.end()
+            if end < 0:
+                never.add(kind)  # nor is there one further on
+        if end < 0:
+            end = html.find(b">", i) + 1
+        out += [html[at:i], b" "]
+        if not end:
+            at = i
+            break
+        at = end
+    return _ENTITY.sub(b" ", b"".join([*out, html[at:]]))
+
+
+def declared_language(html: bytes) -> str:
+    """The language of the first <html> tag that names one, else ''."""
+    at = 0
+    while m := _HTML.search(html, at):
+        at = html.find(b">", m.end())
+        at = len(html) if at < 0 else at
+        if got := _LANG.search(html, m.end(), at):
+            return got[1].decode().lower()
+    return ""
 
 
 def host_parts(url: str | None) -> tuple[str, str, str]:
@@ -115,7 +150,7 @@ def page_evidence(pages: DataFrame, model: tuple[list[str], np.ndarray], id_col:
             ll = np.stack([np.bincount(of, flat[f, k], len(html)).astype(float) for k in range(len(langs))], axis=1) if len(langs) else np.zeros((len(html), 0))
             ll *= (np.minimum(n, cap) / np.maximum(n, 1))[:, None]
             ll = np.round(ll - ll.max(axis=1, keepdims=True), 6) if len(langs) else ll
-            declared = [m[1].decode().lower() if (m := _LANG.search(h)) else "" for h in html]
+            declared = list(map(declared_language, html))
             host, domain, suffix = zip(*map(host_parts, b.column("url").to_pylist()), strict=True)
             strings = [pa.array(x, pa.string()) for x in (host, domain, suffix, declared)]
             yield pa.RecordBatch.from_arrays([b.column("id"), *strings, pa.array(n.astype(np.int64)), pa.array(ll.tolist(), pa.list_(pa.float64()))], ["id", "host", "domain", "suffix", "declared", "n_features", "ll"])
@@ -134,30 +169,34 @@ def fuse(evidence: DataFrame, langs: list[str], strength: float = 2.0, alpha: fl
     def normal(v):  # v: expression of an array of positive numbers
         return F.transform(v, lambda x: x / F.aggregate(v, F.lit(0.0), lambda s, y: s + y))
 
-    p = settle(evidence.withColumn("p", normal(F.transform("ll", lambda x: F.exp(x)))))
+    # rounded, so that sums do not depend on the order of rows, and never zero
+    p = settle(evidence.withColumn("p", F.transform(normal(F.transform("ll", lambda x: F.exp(x))), lambda x: F.greatest(F.round(x, 6), F.lit(1e-6)))))
 
     def sums(key):
-        # sums of rounded numbers, so that they do not depend on the order of rows
-        return p.groupBy(key).agg(*(F.sum(F.round(F.col("p")[i], 6).cast("decimal(20,6)")).cast("double").alias(f"s{i}") for i in k)).select(key, vector(lambda i: F.col(f"s{i}")).alias("s"))
+        return p.groupBy(key).agg(*(F.sum(F.col("p")[i].cast("decimal(20,6)")).cast("double").alias(f"s{i}") for i in k)).select(key, vector(lambda i: F.col(f"s{i}")).alias(f"s_{key}"))
+
+    total = p.agg(*(F.sum(F.col("p")[i].cast("decimal(20,6)")).cast("double").alias(f"s{i}") for i in k), F.count_distinct("suffix").alias("suffix"), F.count_distinct("declared").alias("declared")).first()
+    overall = [total[i] or 0.0 for i in k]
+
+    def others(s, i):  # the sum without the page's own share, which is in its text already
+        return F.greatest(s - F.col("p")[i], F.lit(0.0))
 
     def likelihood(key):
-        """P(value of key | language)."""
-        every = sums(key)
-        total = every.agg(*(F.sum(F.col("s")[i]).alias(f"t{i}") for i in k), F.count("*").alias("m")).select(vector(lambda i: F.col(f"t{i}")).alias("t"), "m").first()
-        if total is None or total.m == 0:
-            return every.select(key, F.col("s").alias(f"l_{key}"))
-        return every.select(key, vector(lambda i: (F.col("s")[i] + alpha) / F.lit(total.t[i] + alpha * total.m)).alias(f"l_{key}"))
-
-    overall = p.agg(*(F.sum(F.round(F.col("p")[i], 6).cast("decimal(20,6)")).cast("double").alias(f"s{i}") for i in k)).first()
-    n = sum(x or 0 for x in overall) or 1.0
-    base = [((overall[i] or 0) + alpha) / (n + alpha * len(langs)) for i in k]
-
-    def smooth(s, prior):
-        return vector(lambda i: (s[i] + strength * prior[i]) / (F.aggregate(s, F.lit(0.0), lambda a, x: a + x) + strength))
-
-    domain = sums("domain").select("domain", smooth(F.col("s"), [F.lit(x) for x in base]).alias("d"))
-    host = p.select("host", "domain").distinct().join(sums("host"), "host").join(domain, "domain").select("host", smooth(F.col("s"), F.col("d")).alias("prior"))
-    j = p.join(host, "host").join(likelihood("suffix"), "suffix").join(likelihood("declared"), "declared")
+        """P(value of key | language), by all other pages."""
+        return vector(lambda i: (others(F.col(f"s_{key}")[i], i) + alpha) / (others(F.lit(overall[i]), i) + alpha * total[key]))
+
+    def smooth(key, prior):
+        """Share of each language among the other pages of key, held towards prior."""
+        n = sum((others(F.col(f"s_{key}")[i], i) for i in k), F.lit(0.0))
+        return vector(lambda i: (others(F.col(f"s_{key}")[i], i) + strength * prior[i]) / (n + strength))
+
+    every = sum((others(F.lit(x), i) for i, x in enumerate(overall)), F.lit(0.0))
+    base = [(others(F.lit(overall[i]), i) + alpha) / (every + alpha * len(langs)) for i in k]
+    j = p
+    for key in ("host", "domain", "suffix", "declared"):
+        j = j.join(sums(key), key)
+    j = j.withColumn("d", smooth("domain", base)).withColumn("prior", smooth("host", F.col("d")))
+    j = j.withColumn("l_suffix", likelihood("suffix")).withColumn("l_declared", likelihood("declared"))
     j = j.withColumn("fused", normal(vector(lambda i: F.col("p")[i] * F.col("prior")[i] * F.col("l_suffix")[i] * F.col("l_declared")[i])))
     names = F.array(*map(F.lit, langs))
 
