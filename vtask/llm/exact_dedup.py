@@ -5,7 +5,7 @@ and a hash of their content; the trie of a part holds the full byte strings, so
 equality is decided by bytes and not by the hash. A terminal node keeps the
 smallest id and the number of rows. Every map task first inserts its own rows
 into a trie of its own, so a text that a third of all rows share crosses the
-network once a task. A trie that outgrows its budget hands its heaviest
+network once a task. Where a task's tries outgrow its budget, the largest hands its heaviest
 subtree, and whatever later belongs to it, to a further round in which subtrees
 are dealt anew; these rows go through shared storage.
 
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from vtask.llm.common import need, parts_for, settle, sliced, text_bytes, text_values, tidy
 
-_BUDGET = 32 << 20  # bytes of text resident in one trie
+_BUDGET = 32 << 20  # bytes of text resident in a task's tries
 _NODE = 500  # what a node costs besides its label
 
 
@@ -149,11 +149,12 @@ def _own(budget: int):
 
 
 def _owners(budget: int):
-    """Tries of whole parts (or subtrees); path is null for finished texts and names the subtree of texts left for the next round."""
+    """Tries of whole parts (or subtrees), within one budget for the task; path is null for finished texts and names the subtree of texts left for the next round."""
 
     def owners(batches):
         tries: dict = defaultdict(RadixTrie)
         cut: dict = defaultdict(list)
+        held = 0
         for b in sliced(batches, "text", 4 << 20):
             for part, path, text, low, rows in zip(*(b.column(x).to_pylist() for x in _NAMES), strict=True):
                 key = (part, path)
@@ -162,25 +163,30 @@ def _owners(budget: int):
                     yield from _pieces([(part, gone, text, low, rows)], 1)
                     continue
                 t = tries[key]
+                before = t.size
                 t.insert(text, low, rows)
-                while t.size > budget:
+                held += t.size - before
+                while held > budget:
+                    key, t = max(tries.items(), key=lambda x: x[1].size)
+                    before = t.size
                     gone, got = t.cut_heaviest()
-                    if not got:
+                    if not got:  # one text is all there is
                         break
+                    held += t.size - before
                     cut[key].append(gone)
-                    yield from _pieces(((part, gone, *x) for x in got), 8 << 20)
+                    yield from _pieces(((key[0], gone, *x) for x in got), 8 << 20)
         for (part, _), t in tries.items():
             yield from _pieces(((part, None, *x) for x in t.walk(t.root, b"")), 4 << 20)
 
     return owners
 
 
-def text_owners(docs: DataFrame, parts: int, budget: int = _BUDGET, max_rounds: int = 40) -> DataFrame:
+def text_owners(docs: DataFrame, parts: int, budget: int = _BUDGET) -> DataFrame:
     """(text_sha256, keep_id, group_size) of each distinct text of docs(id, text)."""
     dealt = F.pmod(F.xxhash64(F.octet_length("text"), F.xxhash64("text")), F.lit(parts)).cast("int")
     rows = docs.select(dealt.alias("part"), "id", "text").mapInArrow(tidy(_own(budget)), _REP).repartitionById(parts, "part")
     done = None
-    for _ in range(max_rounds):
+    while True:  # each round ends some texts of every trie and takes the others further down
         # finished texts shrink to their digest before they are written
         out = settle(rows.mapInArrow(tidy(_owners(budget)), _REP).select("part", "path", F.when(F.col("path").isNotNull(), F.col("text")).alias("text"), F.when(F.col("path").isNull(), F.sha2("text", 256)).alias("text_sha256"), "low", "rows"))
         got = out.filter("path IS NULL").select("text_sha256", F.col("low").alias("keep_id"), F.col("rows").alias("group_size"))
@@ -189,7 +195,6 @@ def text_owners(docs: DataFrame, parts: int, budget: int = _BUDGET, max_rounds:
         if left.isEmpty():
             return done
         rows = left.repartition(parts, "part", "path")
-    raise RuntimeError(f"a trie still outgrows its budget after {max_rounds} rounds")
 
 
 def normal_text(text_col: str) -> F.Column:
