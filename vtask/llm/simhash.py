@@ -9,8 +9,9 @@ fingerprints within the radius agree in at least `c` of `radius + c` blocks of
 bits, so each fingerprint joins one shard for every choice of c blocks; c grows
 with the number of distinct fingerprints, which keeps shards small. A shard is a
 BK-tree: children are keyed by their Hamming distance to the parent, and a
-search follows only edges within the radius of the query's own distance. Trees
-live where their shard lands, in one vectorised forest a task, instead of being
+search follows only edges within the radius of the query's own distance. A shard
+with too many fingerprints is split once more by the same principle. Trees live
+where their shard lands, in one vectorised forest a task, instead of being
 broadcast: a broadcast would grow with the corpus. Each task joins what it has
 found into stars before it hands on edges, so a cluster of n fingerprints gives
 n - 1 edges, never all pairs.
@@ -198,16 +199,43 @@ def shard_plan(n: int, radius: int, load: int = 64) -> tuple[list[tuple[int, int
     raise AssertionError
 
 
-def near_components(fps: DataFrame, radius: int = 4) -> DataFrame:
-    """(id, fp, component_id) for each row of fps(id, fp); fps should be settled, as it is read more than once."""
+def _block(a: int, w: int) -> F.Column:
+    return F.shiftrightunsigned("fp", a).bitwiseAND(F.lit((1 << w) - 1))
+
+
+def _split_hot(keyed: DataFrame, blocks: list[tuple[int, int]], picks: list[tuple[int, ...]], radius: int, most: int) -> DataFrame:
+    """keyed(fp, shard, pick) with each shard of more than `most` fingerprints in smaller ones.
+
+    Fingerprints of a shard that link differ in `radius` bits or fewer outside
+    its pick, so of radius + 1 blocks of the bits outside one agrees at least:
+    its number and bits key the smaller shards.
+    """
+    hot = settle(keyed.groupBy("shard").agg(F.count("*").alias("n")).filter(F.col("n") > most).select("shard"))
+    if hot.isEmpty():
+        return keyed
+
+    def finer(p):
+        rest = [x for i, (a, w) in enumerate(blocks) if i not in p for x in range(a, a + w)]
+        cut = [rest[i * len(rest) // (radius + 1) : (i + 1) * len(rest) // (radius + 1)] for i in range(radius + 1)]
+        masks = [sum(1 << x for x in c) for c in cut]
+        return F.array(*(F.xxhash64("shard", F.lit(i), F.col("fp").bitwiseAND(F.lit(m - (1 << 64) if m >> 63 else m))) for i, m in enumerate(masks)))
+
+    by_pick = F.array(*(finer(p) for p in picks))
+    split = keyed.join(hot, "shard", "left_semi").select("fp", F.explode(F.element_at(by_pick, F.col("pick") + 1)).alias("shard"), "pick")
+    return keyed.join(hot, "shard", "left_anti").select("fp", "shard", "pick").unionAll(split)
+
+
+def near_components(fps: DataFrame, radius: int = 4, most: int = 20_000) -> DataFrame:
+    """(id, fp, component_id) for each row of fps(id, fp); fps should be settled, as it is read more than once. `most`: fingerprints of one tree."""
     spark = fps.sparkSession
     one = settle(fps.groupBy("fp").agg(F.min("id").alias("low")))
     n = one.count()
     blocks, picks = shard_plan(n, radius)
     # with a pick's number as salt, its blocks' bits are the shard
-    keys = [F.xxhash64(F.lit(k), *(F.shiftrightunsigned("fp", a).bitwiseAND(F.lit((1 << w) - 1)) for a, w in (blocks[i] for i in p))) for k, p in enumerate(picks)]
+    keys = [F.xxhash64(F.lit(k), *(_block(*blocks[i]) for i in p)) for k, p in enumerate(picks)]
     parts = parts_for(spark, n * len(picks), 400_000)
-    stars = one.select("fp", F.explode(F.array(*keys)).alias("shard")).repartition(parts, "shard").mapInArrow(tidy(_shard_stars(radius)), "a long, b long")
+    keyed = one.select("fp", F.posexplode(F.array(*keys)).alias("pick", "shard"))
+    stars = _split_hot(keyed, blocks, picks, radius, most).repartition(parts, "shard").select("fp", "shard").mapInArrow(tidy(_shard_stars(radius)), "a long, b long")
     comp = connected_components(stars)
     named = one.join(comp, F.col("fp") == F.col("node"), "left").select("fp", "low", F.coalesce("comp", "fp").alias("comp"))
     # written first, so that a component of very many fingerprints joins in a join whose large partitions Spark can split
