@@ -9,7 +9,7 @@ import tiktoken
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from tests.llm.test_simhash import components, fp
+from tests.llm.test_near_text import survivors
 from vtask.llm.byte_bpe import load_ranks
 from vtask.llm.mixing import fit_budget, word_count
 
@@ -34,8 +34,7 @@ def test_stages_against_plain_versions(spark):
     by_id = {r["doc_id"]: r for r in more}
     uniq = [by_id[i] for i in sorted(got)]
     df = spark.createDataFrame(uniq, docs.schema)
-    comp = components([(r["doc_id"], fp(r["text"])) for r in uniq], 4)
-    assert sorted(r.doc_id for r in near(spark, df, "").collect()) == sorted(set(comp))
+    assert sorted(r.doc_id for r in near(spark, df, "").collect()) == [i for _, i in survivors([(r["doc_id"], r["text"]) for r in uniq])]
     mixed = mix(spark, df, "")
     assert mixed.columns == cols
     times = Counter(r.doc_id for r in mixed.collect())
