@@ -9,7 +9,7 @@ import pandas as pd
 
 from vtask.kernels import selection as sel
 from vtask.kernels.backbones import make, support
-from vtask.kernels.draws import rng
+from vtask.kernels.draws import rng, uniforms
 from vtask.kernels.table import Frame, Schema
 from vtask.kernels.tasks import TEMPLATES, Spec, Task, grid
 
@@ -58,8 +58,14 @@ class Evaluation:
 
 
 def evaluate(context: pd.DataFrame, attrs: list[str], cfg: Config) -> Evaluation:
-    """Supports of held-out rows and probes for each candidate, labels frozen from the whole context."""
-    context = context.iloc[: cfg.context]
+    """Supports of held-out rows and probes for each candidate, labels frozen from the whole context.
+
+    Of a context of more than cfg.context rows those of smallest draw count: by
+    name where rows have one, so that every mode takes the same.
+    """
+    if len(context) > cfg.context:
+        by = np.lexsort((context["rid"], uniforms(0, "ctx", context["rid"]))) if "rid" in context else rng(cfg.seed, "context").permutation(len(context))
+        context = context.iloc[by[: cfg.context]]
     schema = Schema.fit(context, attrs)
     f = schema.frame(context)
     schema.profile  # noqa: B018  raises where no attribute is usable

@@ -25,6 +25,15 @@ def normals(seed: int, purpose: str, keys) -> np.ndarray:
     return np.sqrt(-2 * np.log(1 - a)) * np.cos(2 * np.pi * b)
 
 
+def drawn_subset(seed: int, task: str, attrs: list[str]) -> list[str]:
+    """Half of the attributes, two at least, of smallest draw; in their own order."""
+    attrs = list(attrs)
+    if len(attrs) <= 2:
+        return attrs
+    size = max(2, -(-len(attrs) // 2))
+    return sorted(sorted(attrs, key=lambda a: u01(seed, "subset", task, a))[:size], key=attrs.index)
+
+
 def rng(seed: int, purpose: str) -> np.random.Generator:
     """A generator for bulk draws on bounded data."""
     return np.random.default_rng(int(hashlib.md5(f"{seed}|{purpose}".encode()).hexdigest()[:15], 16))

@@ -7,10 +7,11 @@ localized direction (L), global direction (G), prototypes (P) and extremity (D).
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from itertools import zip_longest
 
 import numpy as np
 
-from vtask.kernels.draws import normals, u01
+from vtask.kernels.draws import drawn_subset, normals, u01
 from vtask.kernels.table import PROFILES, Frame, Schema
 
 TEMPLATES = ("S", "L", "G", "P", "D")
@@ -55,11 +56,12 @@ class Tokens:
     edges: list[np.ndarray]
     counts: list[dict[str, int]]
     n: int
+    names: list[str] = field(default_factory=list)
 
     @classmethod
     def fit(cls, f: Frame, k: int | None) -> Tokens:
         edges = [borders(f.x[:, j], k) for j in range(f.x.shape[1])] if k else []
-        t = cls(bool(k), edges, [], f.n)
+        t = cls(bool(k), edges, [], f.n, [*(f.num if k else []), *f.cat])
         t.counts = [dict(zip(*(a.tolist() for a in np.unique(col.astype(str), return_counts=True)), strict=True)) for col in t.columns(f)]
         return t
 
@@ -78,9 +80,9 @@ class Tokens:
     def weights(self, f: Frame, seed: int, purpose: str) -> list[np.ndarray]:
         """A fixed random weight for every token, also for ones the context lacks."""
         out = []
-        for j, col in enumerate(self.columns(f)):
+        for a, col in zip(self.names, self.columns(f), strict=True):
             v, back = np.unique(col, return_inverse=True)
-            out.append(normals(seed, purpose, [f"{j}|{x}" for x in v.tolist()])[back])
+            out.append(normals(seed, purpose, [f"{a}|{x}" for x in v.tolist()])[back])
         return out
 
 
@@ -95,6 +97,12 @@ class Spec:
     token_bins: int = 2
     clusters: int = 2
     target: str | None = None
+    draw: int = 0  # which of several independent draws of subset and weights
+
+    @property
+    def drawn(self) -> str:
+        """What names the task's random draws."""
+        return self.task + (f"#{self.draw}" if self.draw else "")
 
     @property
     def template(self) -> str:
@@ -102,7 +110,7 @@ class Spec:
 
     @property
     def name(self) -> str:
-        return f"{self.task}:{self.kind}:b{self.bins}:{self.transform}:t{self.token_bins}:k{self.clusters}:{self.target or '-'}"
+        return f"{self.task}:{self.kind}:b{self.bins}:{self.transform}:t{self.token_bins}:k{self.clusters}:{self.target or '-'}" + (f":r{self.draw}" if self.draw else "")
 
 
 def instantiations(profile: str) -> list[tuple[str, str]]:
@@ -127,6 +135,13 @@ def targets(f: Frame, schema: Schema, limit: int = 4) -> tuple[list[str], list[s
     return [a for *_, a in sorted(num)][:limit], [a for _, a in sorted(cat)][:limit]
 
 
+def axes(task: str, kind: str) -> list[dict]:
+    """Candidates of a task other than S: two class or cluster numbers, times transforms or token bins; categories alone have neither, so two draws."""
+    size = "clusters" if task[0] == "P" else "bins"
+    rest = {"num": [{"transform": t} for t in ("raw", "robust")], "mix": [{"token_bins": q} for q in (2, 3)], "cat": [{"draw": r} for r in (0, 1)]}[kind]
+    return [{size: k, **x} for k in (2, 3) for x in rest]
+
+
 def grid(f: Frame, schema: Schema) -> dict[str, list[Spec]]:
     """Candidates of each task, at most eight."""
     profile = schema.profile
@@ -140,14 +155,12 @@ def grid(f: Frame, schema: Schema) -> dict[str, list[Spec]]:
             if profile == PROFILES[1]:
                 second = []
             if profile == PROFILES[2]:
-                chosen = [a for pair in zip(num[:2], cat[:2], strict=False) for a in pair] or num or cat
+                chosen = [a for pair in zip_longest(num, cat) for a in pair if a][:4]
             else:
-                chosen = first or second
+                chosen = [*first, *second][:4]
             specs = [Spec(task, "num", bins=b, target=a) for a in chosen if a in f.num for b in (2, 3)] + [Spec(task, "cat", target=a) for a in chosen if a in f.cat]
-        elif task[0] in "LG" or task == "D":
-            specs = [Spec(task, kind, bins=b, transform=t, token_bins=q) for b in (2, 3) for t in (("raw", "robust") if kind == "num" else ("robust",)) for q in ((2, 3) if kind == "mix" else (2,))]
         else:
-            specs = [Spec(task, kind, clusters=k, transform=t, token_bins=q) for k in (2, 3) for t in (("raw", "robust") if kind == "num" else ("robust",)) for q in ((2, 3) if kind == "mix" else (2,))]
+            specs = [Spec(task, kind, **x) for x in axes(task, kind)]
         if specs:
             out[task] = specs[:8]
     return out
@@ -174,9 +187,8 @@ class Task:
             return t
         mine = {"num": f.num, "cat": f.cat, "mix": f.num + f.cat}[spec.kind]
         t.names = list(mine)
-        if spec.template == "L" and len(mine) > 2:  # the subset is drawn once for the task and shared by its candidates
-            size = max(2, -(-len(mine) // 2))
-            t.names = sorted(sorted(mine, key=lambda a: u01(seed, "subset", spec.task, a))[:size], key=mine.index)
+        if spec.template == "L" or (spec.draw and spec.template in "PD"):  # drawn once and shared by the candidates of a draw
+            t.names = drawn_subset(seed, spec.drawn, mine)
         v = t._view(f)
         if spec.kind == "num":
             t.par["transform"] = Transform.fit(v.x, spec.transform)
@@ -198,12 +210,12 @@ class Task:
             z = self.par["transform"](v.x)
             if s.template == "D":
                 return np.round(np.sqrt((z**2).sum(axis=1)), 9)
-            return np.round(z @ normals(self.seed, f"weight.{s.task}", v.num) / np.sqrt(max(1, v.x.shape[1])), 9)
+            return np.round(z @ normals(self.seed, f"weight.{s.drawn}", v.num) / np.sqrt(max(1, v.x.shape[1])), 9)
         t = self.par["tokens"]
         r = t.rarity(v)
         if s.template == "D":
             return np.round(np.mean(r, axis=0), 9)
-        return np.round(sum(a * w for a, w in zip(r, t.weights(v, self.seed, f"token.{s.task}"), strict=True)) / np.sqrt(len(r)), 9)
+        return np.round(sum(a * w for a, w in zip(r, t.weights(v, self.seed, f"token.{s.drawn}"), strict=True)) / np.sqrt(len(r)), 9)
 
     # prototypes: numbers (or bin codes) and tokens, by alternating assignment and update from a farthest-first start
 

@@ -9,6 +9,7 @@ sorting.
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -119,16 +120,30 @@ class TokenModel:
     def rarity(self, a: str, tok: Column) -> Column:
         return -F.log(self.prob(a, tok))
 
-    def weight(self, seed: int, purpose: str, a: str, tok: Column) -> Column:
-        """Fixed random weight of a token, by Box-Muller on two hashed uniforms."""
-        u = [u01(seed, f"{purpose}.{x}", F.concat(F.lit(f"{a}|"), tok)) for x in "ab"]
-        return F.sqrt(F.lit(-2.0) * F.log(F.lit(1.0) - u[0])) * F.cos(F.lit(6.283185307179586) * u[1])
+    def _sum(self, view: dict[str, Column], weight=lambda key: 1.0, weight_of=lambda key: F.lit(1.0)) -> Column:
+        """Sum over a row's tokens of rarity times weight, in one small expression: known tokens by a literal map, new ones by weight_of their key."""
+        known = {f"{a}|{v}": math.log((self.n + ALPHA * (len(c) + 1)) / (k + ALPHA)) for a, c in self.counts.items() if a in view for v, k in c.items()}
+        values = F.create_map(*(F.lit(x) for k, r in sorted(known.items()) for x in (k, r * weight(k)))) if known else None
+        new = {a: math.log((self.n + ALPHA * (len(self.counts[a]) + 1)) / ALPHA) for a in view}
+        each = F.array(*(F.struct(F.concat(F.lit(f"{a}|"), c).alias("key"), F.lit(new[a]).alias("new")) for a, c in view.items()))
+
+        def term(x):
+            other = x["new"] * weight_of(x["key"])
+            return F.coalesce(F.element_at(values, x["key"]), other) if known else other
+
+        return F.aggregate(each, F.lit(0.0), lambda s, x: s + term(x))
 
     def projected(self, seed: int, purpose: str, view: dict[str, Column]) -> Column:
-        return F.round(total([self.rarity(a, c) * self.weight(seed, purpose, a, c) for a, c in view.items()]) / F.lit(float(len(view)) ** 0.5), 6)
+        """Sum of rarities times the tokens' fixed random weights, by Box-Muller on two hashed uniforms each."""
+
+        def weight_of(key):
+            u = [u01(seed, f"{purpose}.{k}", key) for k in "ab"]
+            return F.sqrt(F.lit(-2.0) * F.log(F.lit(1.0) - u[0])) * F.cos(F.lit(6.283185307179586) * u[1])
+
+        return F.round(self._sum(view, lambda k: float(normals(seed, purpose, [k])[0]), weight_of) / F.lit(float(len(view)) ** 0.5), 6)
 
     def mean_rarity(self, view: dict[str, Column]) -> Column:
-        return F.round(total([self.rarity(a, c) for a, c in view.items()]) / F.lit(float(len(view))), 6)
+        return F.round(self._sum(view) / F.lit(float(len(view))), 6)
 
 
 def u01(seed: int, purpose: str, key: Column) -> Column:

@@ -8,8 +8,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from vtask.kernels import selection as sel
-from vtask.kernels.table import CAT, NUM
-from vtask.kernels.tasks import instantiations
+from vtask.kernels.draws import drawn_subset
+from vtask.kernels.table import CAT, NUM, PROFILES
+from vtask.kernels.tasks import axes, instantiations
 from vtask.operators import compare as cmp
 from vtask.operators import profile as prof
 from vtask.operators import scoring as sc
@@ -183,8 +184,8 @@ query("token_rarity_line_cat", f"{_PROB} SELECT attr, tok, round(-ln(p), 6) AS r
 
 # ------------------------------------------------------------------ tasks
 
-_W = {t: tk.weights(0, t, list(_LN)) for t in ("L", "G")}
-_HALF = list(_LN)[:2]
+_HALF = drawn_subset(0, "L", list(_LN))
+_W = {"L": tk.weights(0, "L", _HALF), "G": tk.weights(0, "G", list(_LN))}
 
 
 def _rob(a: str) -> str:
@@ -219,7 +220,7 @@ def single_category(s, d):
     return fixture(s, d, "line_cat").select("rid", F.coalesce(F.element_at(F.create_map(*(F.lit(x) for i, c in enumerate(classes) for x in (c, i))), view["return_flag"]), F.lit(-1)).alias("label"))
 
 
-query("masked_numeric_label", _labelled_sql("round(" + " + ".join(f"{_rob(a)} * cast({w!r} AS double)" for a, w in zip(_HALF, _W["L"], strict=False)) + ", 6)", 2))(lambda s, d: (lambda df, t: _scalar_label(df, tk.projection(t, _HALF, _W["L"][:2]), 2))(*_num(s, d)))
+query("masked_numeric_label", _labelled_sql("round(" + " + ".join(f"{_rob(a)} * cast({w!r} AS double)" for a, w in zip(_HALF, _W["L"], strict=True)) + ", 6)", 2))(lambda s, d: (lambda df, t: _scalar_label(df, tk.projection(t, _HALF, _W["L"]), 2))(*_num(s, d)))
 query("global_numeric_label", _labelled_sql("round(" + " + ".join(f"{_rob(a)} * cast({w!r} AS double)" for a, w in zip(_LN, _W["G"], strict=True)) + ", 6)", 3))(lambda s, d: (lambda df, t: _scalar_label(df, tk.projection(t, list(_LN), _W["G"]), 3))(*_num(s, d)))
 query("radial_label", _labelled_sql("round(sqrt(" + " + ".join(f"{_rob(a)} * {_rob(a)}" for a in _LN) + "), 6)", 3))(lambda s, d: (lambda df, t: _scalar_label(df, tk.radius(t, list(_LN)), 3))(*_num(s, d)))
 
@@ -238,6 +239,10 @@ def _token_sql(name: str, attrs: list[str], value: str, k: int, tok_bins: int =
 _RAR = "ln(({n} + {kj} + 1.0) / ({nj} + 1.0))"
 
 
+def rarity_sql(**names: str) -> str:
+    return _RAR.format(**names)
+
+
 def _weighted(purpose: str) -> str:
     return _RAR + " * (sqrt(-2.0 * ln(1.0 - U['0';'" + purpose + ".a';concat('{a}|', {t})])) * cos(6.283185307179586 * U['0';'" + purpose + ".b';concat('{a}|', {t})]))"
 
@@ -255,9 +260,9 @@ def _token_query(name: str, attrs: list[str], rarity_only: bool, purpose: str, k
 
 
 for _q, _fx, _attrs, _rare, _p, _k in (
-    ("masked_category_label", "line_cat", list(_LC)[:3], False, "token.L", 2),
+    ("masked_category_label", "line_cat", drawn_subset(0, "L", list(_LC)), False, "token.L", 2),
     ("global_category_label", "line_cat", list(_LC), False, "token.G", 2),
-    ("masked_mixed_label", "line_mixed", ["quantity", "price", "disc", "return_flag"], False, "token.L", 2),
+    ("masked_mixed_label", "line_mixed", drawn_subset(0, "L", list(_MIX.attrs)), False, "token.L", 2),
     ("global_mixed_label", "line_mixed", list(_MIX.attrs), False, "token.G", 3),
     ("rarity_cat_label", "line_cat", list(_LC), True, "", 3),
     ("rarity_mixed_label", "line_mixed", list(_MIX.attrs), True, "", 2),
@@ -320,14 +325,15 @@ def kmodes_fit(s, d):
 @query(
     "candidate_grid",
     """WITH p(profile, kind) AS (VALUES ('numerical-only', 'num'), ('categorical-only', 'cat'), ('mixed', 'mix'), ('mixed-numerical-dominant', 'mix'), ('mixed-categorical-dominant', 'mix')),
-    t AS (SELECT profile, unnest(['S', 'G', 'P', 'D']) AS task, kind FROM p UNION ALL SELECT profile, 'L', kind FROM p WHERE profile NOT LIKE '%dominant'
+    t AS (SELECT profile, unnest(['G', 'P', 'D']) AS task, kind FROM p UNION ALL SELECT profile, 'L', kind FROM p WHERE profile NOT LIKE '%dominant'
       UNION ALL SELECT 'mixed-numerical-dominant', unnest(['L1', 'L2']), unnest(['num', 'mix']) UNION ALL SELECT 'mixed-categorical-dominant', unnest(['L1', 'L2']), unnest(['cat', 'mix']))
-    SELECT profile, task, kind FROM t""",
+    SELECT profile, task, kind, CASE WHEN task = 'P' THEN k END AS clusters, CASE WHEN task <> 'P' THEN k END AS bins, CASE WHEN kind = 'num' THEN CASE WHEN i = 0 THEN 'raw' ELSE 'robust' END END AS transform,
+      CASE WHEN kind = 'mix' THEN i + 2 END AS token_bins, CASE WHEN kind = 'cat' THEN i END AS draw FROM t, (VALUES (2), (3)) AS a(k), (VALUES (0), (1)) AS b(i)""",
 )
 def candidate_grid(s, d):
-    from vtask.kernels.table import PROFILES
-
-    return s.createDataFrame([(p, t, k) for p in PROFILES for t, k in instantiations(p)], "profile string, task string, kind string")
+    """Every axis of the tasks whose candidates do not depend on the data; a target's candidates are its bins."""
+    rows = [(p, t, k, *(x.get(c) for c in ("clusters", "bins", "transform", "token_bins", "draw"))) for p in PROFILES for t, k in instantiations(p) if t != "S" for x in axes(t, k)]
+    return s.createDataFrame(rows, "profile string, task string, kind string, clusters int, bins int, transform string, token_bins int, draw int")
 
 
 # ------------------------------------------------------------------ held-out rows and probes
@@ -487,40 +493,13 @@ def kernel_support_small(s, d):
     return pairs.groupBy("rid").agg(F.round(kappa, 6).alias("kappa"))
 
 
-_LEVELS = "(SELECT kappa FROM sup WHERE split = 'context' ORDER BY U['0';'level';rid], rid LIMIT 500)"
-
-
-def _levels(sup: DataFrame, n: int = 500) -> list[float]:
-    """A bounded set of nominal supports, by the order of a draw."""
-    return [r.kappa for r in sup.filter("split = 'context'").orderBy(tk.u01(0, "level", F.col("rid")), "rid").limit(n).select("kappa").collect()]
-
-
-_SURPRISAL = "round(-ln((1 + (SELECT count(*) FROM lv WHERE lv.kappa <= sup.kappa)) / ((SELECT count(*) FROM lv) + 1.0)), 6)"
-
-
-@query("surprisal_line_cat", _LC_SQL.replace("{tail}", f", lv AS {_LEVELS} SELECT rid, {_SURPRISAL} AS surprisal FROM sup WHERE split = 'query'"))
-def surprisal_line_cat(s, d):
-    sup = _line_cat_support(s, d)
-    lv = _levels(sup)
-    return sup.filter("split = 'query'").select("rid", sc.surprisal(F.col("kappa"), lv).alias("surprisal"))
-
-
-@query("detect_line_cat_counts", _LC_SQL.replace("{tail}", f""", lv AS {_LEVELS}, sc AS (SELECT 'line_cat' AS dataset, is_anom, {_SURPRISAL} AS score FROM sup WHERE split = 'query'),
-    g AS (SELECT dataset, score, sum(is_anom) AS p, sum(1 - is_anom) AS q FROM sc GROUP BY ALL), w AS (SELECT *, coalesce(sum(q) OVER (PARTITION BY dataset ORDER BY score ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS below FROM g)
-    SELECT dataset, round(sum(p * (below + q / 2.0)) / (sum(p) * 1.0 * sum(q)), 6) AS auroc FROM w GROUP BY dataset"""))
-def detect_line_cat(s, d):
-    sup = _line_cat_support(s, d)
-    lv = _levels(sup)
-    return sc.auroc(sup.filter("split = 'query'").select(F.lit("line_cat").alias("dataset"), "is_anom", sc.surprisal(F.col("kappa"), lv).alias("score")))
-
-
 # ------------------------------------------------------------------ selection, on a stated table of supports
 
 _SUPPORT = """
 SELECT task, cand, kind, round(CASE WHEN kind = 'nom' THEN pow(u, 0.25 + 0.1 * cand * t) ELSE pow(u, 0.9 + 0.05 * t) END, 4) AS kappa
 FROM (SELECT task, t, cand, kind, U['7';'support';concat_ws('.', task, cand, kind, c_custkey)] AS u FROM customer
-  CROSS JOIN (SELECT 'S' AS task, 1 AS t UNION ALL SELECT 'L', 2 UNION ALL SELECT 'G', 3 UNION ALL SELECT 'P', 9 UNION ALL SELECT 'D', 5) AS a
-  CROSS JOIN (SELECT 1 AS cand UNION ALL SELECT 2 UNION ALL SELECT 3 UNION ALL SELECT 4) AS b CROSS JOIN (SELECT 'nom' AS kind UNION ALL SELECT 'vio') AS k WHERE c_custkey <= 150) AS x
+  CROSS JOIN (SELECT 'S' AS task, 1 AS t UNION ALL SELECT 'L', 2 UNION ALL SELECT 'G', 3 UNION ALL SELECT 'P', 20 UNION ALL SELECT 'D', 5) AS a
+  CROSS JOIN (SELECT 1 AS cand UNION ALL SELECT 2 UNION ALL SELECT 3 UNION ALL SELECT 4) AS b CROSS JOIN (SELECT 'nom' AS kind UNION ALL SELECT 'vio') AS k) AS x
 """
 
 
@@ -528,7 +507,8 @@ def _support(s, d):
     return spark_sql(s, d, _SUPPORT)
 
 
-_AUC = "au AS (SELECT u.task, u.cand, round(sum((u.kappa > v.kappa)::INT) * 1.0 / count(*), 6) AS rho FROM sp u JOIN sp v ON u.task = v.task AND u.cand = v.cand AND u.kind = 'nom' AND v.kind = 'vio' GROUP BY 1, 2)"
+_AUC = """lq AS (SELECT task, cand, kappa, sum((kind = 'nom')::INT) AS u, sum((kind = 'vio')::INT) AS v FROM sp GROUP BY task, cand, kappa),
+    au AS (SELECT task, cand, round(sum(u * below) * 1.0 / (sum(u) * sum(v)), 6) AS rho FROM (SELECT *, coalesce(sum(v) OVER (PARTITION BY task, cand ORDER BY kappa ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS below FROM lq) AS lb GROUP BY task, cand)"""
 _CS = f"""WITH sp AS ({_SUPPORT}), {_AUC}, st AS (SELECT task, cand, round(quantile_cont(kappa, 0.5) FILTER (WHERE kind = 'nom'), 6) AS med, round(var_pop(kappa) FILTER (WHERE kind = 'nom'), 6) AS var, rho,
     round(quantile_cont(kappa, 0.25) FILTER (WHERE kind = 'nom') - quantile_cont(kappa, 0.75) FILTER (WHERE kind = 'vio'), 6) AS gap FROM sp JOIN au USING (task, cand) GROUP BY task, cand, rho)"""
 query("separation_auc", f"WITH sp AS ({_SUPPORT}), {_AUC} SELECT task, cand, rho FROM au")(lambda s, d: sc.separation_auc(_support(s, d)))

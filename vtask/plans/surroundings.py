@@ -26,8 +26,8 @@ query("asof_prev_event", "SELECT event_id, lag(event_id) OVER w AS prev_id, (epo
 query("interval_events_1h", "WITH e AS (SELECT *, floor(epoch(ts))::BIGINT AS t FROM events) SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY t RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS n_recent FROM e")(
     lambda s, d: ft.events_within(_events(s, d), "user_id", "ts", 3600).select("event_id", "n_recent")
 )
-query("unseen_tokens_anti", f"WITH a AS {fx('line_cat')} SELECT rid, disc FROM a WHERE split = 'query' AND disc NOT IN (SELECT disc FROM a WHERE split = 'context' AND return_flag = 'R' AND line_status = 'F' AND tax = '3' AND line_no = '7')")(
-    lambda s, d: (lambda a: ft.unseen(a.filter("split = 'query'"), "disc", a.filter("split = 'context' AND return_flag = 'R' AND line_status = 'F' AND tax = '3' AND line_no = '7'")).select("rid", "disc"))(fixture(s, d, "line_cat"))
+query("unseen_tokens_anti", f"WITH a AS {fx('line_cat')} SELECT rid, disc FROM a WHERE split = 'query' AND disc NOT IN (SELECT disc FROM a WHERE split = 'context' AND U['0';'few';rid] < 0.0003)")(
+    lambda s, d: (lambda a: ft.unseen(a.filter("split = 'query'"), "disc", a.filter((F.col("split") == "context") & (tk.u01(0, "few", F.col("rid")) < 0.0003))).select("rid", "disc"))(fixture(s, d, "line_cat"))
 )
 query("pool_semi", f"WITH a AS {fx('doc_quality')} SELECT rid FROM a WHERE rid IN (SELECT rid FROM a WHERE is_anom = 1 AND U['0';'pool';rid] < 0.5)")(
     lambda s, d: (lambda a: a.join(a.filter((F.col("is_anom") == 1) & (tk.u01(0, "pool", F.col("rid")) < 0.5)).select("rid"), "rid", "left_semi").select("rid"))(fixture(s, d, "doc_quality"))
@@ -59,8 +59,8 @@ query("set_ops_features", f"WITH a AS {fx('order_cat')}, x AS (SELECT DISTINCT s
         a.filter("split = 'context' AND region_key = '1'").select("segment", "priority").distinct(), a.filter("split = 'query' AND region_key = '2' AND status = 'P'").select("segment", "priority").distinct()))(fixture(s, d, "order_cat"))
 )
 query("json_props", "SELECT event_id, JNUM[props;k] AS k FROM events")(lambda s, d: _events(s, d).select("event_id", F.get_json_object("props", "$.k").cast("double").alias("k")))
-query("array_scores", "SELECT vec_id, round(" + " + ".join(f"AT[embedding;{i}]::DOUBLE * AT[embedding;{i}]::DOUBLE" for i in range(8)) + ", 6) AS energy FROM embeddings")(
-    lambda s, d: s.read.parquet(f"{d}/embeddings.parquet").select("vec_id", F.round(F.aggregate(F.slice("embedding", 1, 8), F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")), 6).alias("energy"))
+query("array_scores", "SELECT vec_id, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 6) AS energy FROM embeddings")(
+    lambda s, d: s.read.parquet(f"{d}/embeddings.parquet").select("vec_id", F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")), 6).alias("energy"))
 )
 _ERR = "sum((event_type = 'error')::INT)::BIGINT AS alerts, count(*) AS n"
 

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from vtask.kernels import baselines as bl
 from vtask.kernels import detector as det
 from vtask.kernels import selection as sel
-from vtask.kernels.draws import rng
+from vtask.kernels.draws import rng, uniforms
 from vtask.operators import tasks as tk
 from vtask.plans.queries import fx, query
 from vtask.sources.fixtures import FIXTURES, fixture
@@ -77,7 +77,9 @@ def _frame(s, d, name: str, cap: int = SUITE_CAP) -> DataFrame:
 def _rows(pdf: pd.DataFrame, name: str) -> pd.DataFrame:
     f = FIXTURES[name]
     x = pd.DataFrame([json.loads(r) for r in pdf["row"]], columns=f.attrs)
-    return pd.concat([pdf[["rid", "split", "is_anom"]].reset_index(drop=True), x], axis=1).sort_values("rid", ignore_index=True)
+    out = pd.concat([pdf[["rid", "split", "is_anom"]].reset_index(drop=True), x], axis=1)
+    # in the order of a draw, so that the first rows of a context are a random sample of it
+    return out.iloc[np.lexsort((out["rid"], uniforms(0, "ctx", out["rid"])))].reset_index(drop=True)
 
 
 def _measure(score: np.ndarray, y: np.ndarray) -> tuple[float | None, float | None]:
@@ -108,7 +110,7 @@ def run_suite(s, d, names: list[str], configs: dict[str, det.Config], methods: l
         y, out, cache = q["is_anom"].to_numpy(), [], {}
         for m, cfg in configs.items():
             cfg = det.replace_seed(cfg, int(seed))
-            part = c.iloc[: cfg.context]
+            part = c.iloc[: cfg.context]  # by draw: see _rows
             k = (cfg.backbone, cfg.splits, cfg.rho_h, cfg.intra, cfg.context, cfg.ties)
             if k not in cache:  # supports are shared by all ablations that only choose among them
                 cache[k] = det.evaluate(part, f.attrs, det.full(cfg))
@@ -116,6 +118,7 @@ def run_suite(s, d, names: list[str], configs: dict[str, det.Config], methods: l
             sc_ = fit.score(q) if fit.tasks else np.zeros(len(q))
             out.append((name, m, int(seed), *_measure(sc_, y), len(part), ",".join(t.task for t in fit.kept)))
         if methods:
+            c = c.iloc[: max((x.context for x in configs.values()), default=len(c))]  # baselines see the same rows
             schema = det.Schema.fit(c, f.attrs)
             x, cats = bl.matrix(schema.frame(c))
             z, _ = bl.matrix(schema.frame(q), cats)
@@ -202,7 +205,7 @@ def detect_large(s, d):
     """The large mode: one detector from a bounded context, a map over all query rows; no shuffle after the context's top-n."""
     f = FIXTURES["line_mixed"]
     df = fixture(s, d, "line_mixed")
-    c = df.filter("split = 'context'").orderBy(tk.u01(0, "ctx", F.col("rid")), "rid").limit(BASE.context).toPandas().sort_values("rid", ignore_index=True)
+    c = df.filter("split = 'context'").orderBy(tk.u01(0, "ctx", F.col("rid")), "rid").limit(BASE.context).toPandas()
     return score_rows(df.filter("split = 'query'"), det.fit(c, f.attrs, BASE))
 
 

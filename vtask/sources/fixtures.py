@@ -2,7 +2,9 @@
 
 Contexts are normal rows; the split draws 60 % of them. Where a table has no
 labels, five per cent of the query rows are marked for planting (is_anom = 1)
-and changed by vtask.plans.planting.
+and changed by vtask.plans.workloads. A line is named by the hash of its columns,
+so no view needs a shuffle to name its rows; lines that are equal in every column
+share name, side and score.
 """
 
 from __future__ import annotations
@@ -10,7 +12,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 _LINE = """
-SELECT concat(h, '-', cast(row_number() OVER (PARTITION BY h ORDER BY h) AS TEXT)) AS rid, quantity, price, disc, tax, line_no, return_flag, line_status, net, charge
+SELECT h AS rid, quantity, price, disc, tax, line_no, return_flag, line_status, net, charge
 FROM (SELECT md5(concat_ws('|', l_orderkey, l_partkey, l_suppkey, l_linenumber, cast(round(l_quantity) AS bigint), cast(round(l_extendedprice * 100) AS bigint),
         cast(round(l_discount * 100) AS bigint), cast(round(l_tax * 100) AS bigint), l_returnflag, l_linestatus)) AS h,
     l_quantity AS quantity, l_extendedprice AS price, cast(cast(round(l_discount * 100) AS bigint) AS TEXT) AS disc, cast(cast(round(l_tax * 100) AS bigint) AS TEXT) AS tax,
