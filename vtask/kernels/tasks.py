@@ -56,12 +56,11 @@ class Tokens:
     edges: list[np.ndarray]
     counts: list[dict[str, int]]
     n: int
-    names: list[str] = field(default_factory=list)
 
     @classmethod
     def fit(cls, f: Frame, k: int | None) -> Tokens:
         edges = [borders(f.x[:, j], k) for j in range(f.x.shape[1])] if k else []
-        t = cls(bool(k), edges, [], f.n, [*(f.num if k else []), *f.cat])
+        t = cls(bool(k), edges, [], f.n)
         t.counts = [dict(zip(*(a.tolist() for a in np.unique(col.astype(str), return_counts=True)), strict=True)) for col in t.columns(f)]
         return t
 
@@ -80,9 +79,9 @@ class Tokens:
     def weights(self, f: Frame, seed: int, purpose: str) -> list[np.ndarray]:
         """A fixed random weight for every token, also for ones the context lacks."""
         out = []
-        for a, col in zip(self.names, self.columns(f), strict=True):
+        for j, col in enumerate(self.columns(f)):
             v, back = np.unique(col, return_inverse=True)
-            out.append(normals(seed, purpose, [f"{a}|{x}" for x in v.tolist()])[back])
+            out.append(normals(seed, purpose, [f"{j}|{x}" for x in v.tolist()])[back])
         return out
 
 
@@ -157,7 +156,7 @@ def grid(f: Frame, schema: Schema) -> dict[str, list[Spec]]:
             if profile == PROFILES[2]:
                 chosen = [a for pair in zip_longest(num, cat) for a in pair if a][:4]
             else:
-                chosen = [*first, *second][:4]
+                chosen = first or second  # the dominant group, the other only where it has none
             specs = [Spec(task, "num", bins=b, target=a) for a in chosen if a in f.num for b in (2, 3)] + [Spec(task, "cat", target=a) for a in chosen if a in f.cat]
         else:
             specs = [Spec(task, kind, **x) for x in axes(task, kind)]

@@ -122,10 +122,11 @@ class TokenModel:
 
     def _sum(self, view: dict[str, Column], weight=lambda key: 1.0, weight_of=lambda key: F.lit(1.0)) -> Column:
         """Sum over a row's tokens of rarity times weight, in one small expression: known tokens by a literal map, new ones by weight_of their key."""
-        known = {f"{a}|{v}": math.log((self.n + ALPHA * (len(c) + 1)) / (k + ALPHA)) for a, c in self.counts.items() if a in view for v, k in c.items()}
+        # a token is named by its attribute's place in the view, as in kernels.tasks
+        known = {f"{j}|{v}": math.log((self.n + ALPHA * (len(self.counts[a]) + 1)) / (k + ALPHA)) for j, a in enumerate(view) for v, k in self.counts[a].items()}
         values = F.create_map(*(F.lit(x) for k, r in sorted(known.items()) for x in (k, r * weight(k)))) if known else None
         new = {a: math.log((self.n + ALPHA * (len(self.counts[a]) + 1)) / ALPHA) for a in view}
-        each = F.array(*(F.struct(F.concat(F.lit(f"{a}|"), c).alias("key"), F.lit(new[a]).alias("new")) for a, c in view.items()))
+        each = F.array(*(F.struct(F.concat(F.lit(f"{j}|"), c).alias("key"), F.lit(new[a]).alias("new")) for j, (a, c) in enumerate(view.items())))
 
         def term(x):
             other = x["new"] * weight_of(x["key"])

@@ -228,9 +228,9 @@ query("radial_label", _labelled_sql("round(sqrt(" + " + ".join(f"{_rob(a)} * {_r
 def _token_sql(name: str, attrs: list[str], value: str, k: int, tok_bins: int = 2) -> str:
     """value: expression over {n} (context rows), {kj}, {nj} and {a}, {t} summed over attrs."""
     parts = []
-    for a in attrs:
+    for j, a in enumerate(attrs):
         nj = f"coalesce((SELECT n FROM k_{a} WHERE tok = t_{a}), 0)"
-        parts.append(value.format(n="(SELECT count(*) FROM m WHERE split = 'context')", kj=f"(SELECT count(*) FROM k_{a})", nj=nj, a=a, t=f"t_{a}"))
+        parts.append(value.format(n="(SELECT count(*) FROM m WHERE split = 'context')", kj=f"(SELECT count(*) FROM k_{a})", nj=nj, j=j, t=f"t_{a}"))
     counts = ", ".join(f"k_{a} AS (SELECT t_{a} AS tok, count(*) AS n FROM m WHERE split = 'context' GROUP BY t_{a})" for a in attrs)
     return f"""WITH {_mix_sql(tok_bins, name)}, {counts}, z AS (SELECT rid, split, round(({' + '.join(parts)}) / cast(DIV AS double), 6) AS z FROM m),
     b AS {_borders_sql('z', k, "(SELECT * FROM z WHERE split = 'context')")} SELECT rid, z, ({_steps('z', k)})::INT AS label FROM z, b"""
@@ -244,7 +244,7 @@ def rarity_sql(**names: str) -> str:
 
 
 def _weighted(purpose: str) -> str:
-    return _RAR + " * (sqrt(-2.0 * ln(1.0 - U['0';'" + purpose + ".a';concat('{a}|', {t})])) * cos(6.283185307179586 * U['0';'" + purpose + ".b';concat('{a}|', {t})]))"
+    return _RAR + " * (sqrt(-2.0 * ln(1.0 - U['0';'" + purpose + ".a';concat('{j}|', {t})])) * cos(6.283185307179586 * U['0';'" + purpose + ".b';concat('{j}|', {t})]))"
 
 
 def _token_query(name: str, attrs: list[str], rarity_only: bool, purpose: str, k: int):

@@ -200,8 +200,8 @@ _CANDS = candidates(_A)
 
 def _z_sql(x: Scalar) -> str:
     terms = []
-    for a in x.attrs:
-        r = rarity_sql(n="nc.n", kj=f"q_{a}.kj", nj=f"coalesce(k_{a}.n, 0)") if x.rare else _weighted(x.purpose).format(n="nc.n", kj=f"q_{a}.kj", nj=f"coalesce(k_{a}.n, 0)", a=a, t=f"e.{a}")
+    for j, a in enumerate(x.attrs):
+        r = rarity_sql(n="nc.n", kj=f"q_{a}.kj", nj=f"coalesce(k_{a}.n, 0)") if x.rare else _weighted(x.purpose).format(n="nc.n", kj=f"q_{a}.kj", nj=f"coalesce(k_{a}.n, 0)", j=j, t=f"e.{a}")
         terms.append(r)
     return f"round(({' + '.join(terms)}) / cast({float(len(x.attrs)) if x.rare else float(len(x.attrs)) ** 0.5!r} AS double), 6)"
 
