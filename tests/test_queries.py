@@ -8,7 +8,7 @@ import duckdb
 import numpy as np
 import pytest
 
-from vtask.plans import baseline_queries, surroundings, workloads  # noqa: F401
+from vtask.plans import baseline_queries, splits, surroundings, workloads  # noqa: F401
 from vtask.plans.queries import ORACLES, QUERIES
 from vtask.sources.dialect import TABLES
 
