@@ -103,3 +103,16 @@ def stream_alerts(s, d):
     return run_once(alert_windows(score_events(stream_events(s, d)), "1 hour", delay="1 hour"), "vt_alerts", "complete").select("start_s", "alerts", "n")
 
 
+
+
+@query(
+    "stream_user_state",
+    "WITH e AS (SELECT user_id, round(-ln(((25 > value)::INT + (50 > value)::INT + (75 > value)::INT + (100 > value)::INT + (150 > value)::INT + 1) / 6.0), 6) AS z FROM events) "
+    "SELECT user_id, count(*) AS n, sum((z >= 1)::INT)::BIGINT AS alerts, greatest(max(z), 0) AS peak FROM e GROUP BY user_id",
+)
+def stream_user_state(s, d):
+    """The state of each user after the last batch: counts only grow, so the largest update is the last."""
+    from vtask.streaming.jobs import run_once, score_events, stream_events, user_state
+
+    got = run_once(user_state(score_events(stream_events(s, d))), "vt_users", "update")
+    return got.groupBy("user_id").agg(F.max("n").alias("n"), F.max("alerts").alias("alerts"), F.max("peak").alias("peak"))

@@ -43,6 +43,37 @@ def drift(scored: DataFrame, delay: str = "1 hour") -> DataFrame:
     return scored.withWatermark("ts", delay).groupBy(F.window("ts", "1 hour").alias("w")).agg(F.avg("surprisal").alias("mean_surprisal"))
 
 
+def user_state(scored: DataFrame, idle: str = "30 days", delay: str = "1 hour", cut: float = 1.0) -> DataFrame:
+    """(user_id, n, alerts, peak) so far, updated batch by batch: three numbers a user, dropped once the watermark is `idle` past the last event.
+
+    A null surprisal counts as an event without alert; rows behind the watermark
+    are dropped by the engine before they get here.
+    """
+    import pandas as pd
+
+    wait = int(pd.Timedelta(idle).total_seconds() * 1000)
+
+    def step(key, batches, state):
+        if state.hasTimedOut:
+            state.remove()
+            return
+        n, alerts, peak = state.get if state.exists else (0, 0, 0.0)
+        last = 0
+        for b in batches:
+            n, alerts = n + len(b), alerts + int((b["surprisal"] >= cut).sum())
+            top = b["surprisal"].max()
+            peak = peak if pd.isna(top) else max(peak, float(top))
+            if b["ts"].notna().any():
+                last = max(last, int(b["ts"].max().timestamp() * 1000))
+        state.update((n, alerts, peak))
+        state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + wait)
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "alerts": [alerts], "peak": [peak]})
+
+    kind = scored.schema["user_id"].dataType.simpleString()
+    few = scored.select("user_id", "ts", "surprisal").withWatermark("ts", delay)
+    return few.groupBy("user_id").applyInPandasWithState(step, f"user_id {kind}, n long, alerts long, peak double", "n long, alerts long, peak double", "update", "EventTimeTimeout")
+
+
 def run_once(stream: DataFrame, name: str, mode: str) -> DataFrame:
     """Process what is there, into a table in memory; for tests and small results."""
     name = f"{name}_{uuid.uuid4().hex[:8]}"
