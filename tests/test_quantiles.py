@@ -42,10 +42,17 @@ def test_missed_brackets_are_searched_again(values, monkeypatch):
     assert asked == [6, 6]
 
 
-@pytest.mark.parametrize("name", ["robust_params_line_num", "global_numeric_label", "masked_numeric_label", "radial_label"])
+@pytest.mark.parametrize("name", ["robust_params_line_num", "global_numeric_label", "masked_numeric_label", "radial_label", "kmeans_assign_fixed", "kmeans_fit"])
 def test_fits_hold_no_map_of_values(spark, name, monkeypatch):
     def percentile(*_):
         raise AssertionError("percentile holds every distinct value in one task")
 
     monkeypatch.setattr(tk.F, "percentile", percentile)
     assert QUERIES[name](spark, D).count() > 0
+
+
+def test_nearest_rounds_ties_alike(spark):
+    t, centres = tk.raw(["x"]), [[1.0], [3.0], [3.0000001]]
+    rows = spark.range(2001).select((F.col("id") / 500).alias("x")).unionAll(spark.createDataFrame([(2.0000001,), (1.9999999,), (None,)], "x double"))
+    was = tk.nearest([F.round((F.col("x") - F.lit(m)) * (F.col("x") - F.lit(m)), 6) for (m,) in centres])
+    assert rows.filter(~was.eqNullSafe(tk.assign_kmeans(t, ["x"], centres))).count() == 0
