@@ -102,3 +102,11 @@ def test_published_ranks_replay():
     """Total rank is the mean of the eight ranks; three rows of the published table."""
     for ranks, total in (((1, 1, 1, 1, 1, 1, 1, 1), 1.00), ((2, 2, 2, 2, 2, 2, 2, 4), 2.25), ((3, 3, 5, 3, 3, 3, 8, 10), 4.75)):
         assert np.mean(ranks) == total
+
+
+def test_stream_results_stay_off_the_driver(spark, monkeypatch):
+    from vtask.streaming import jobs
+
+    monkeypatch.setattr(jobs, "run_once", None)  # its table lies in the driver's memory
+    df = QUERIES["stream_scores_memory"](spark, D)
+    assert df.inputFiles() and df.count() == spark.read.parquet(f"{D}/events.parquet").count()
