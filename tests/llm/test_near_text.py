@@ -61,3 +61,21 @@ def test_near_stage_on_the_tables(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").dropDuplicates(["text"]).cache()
     rows = [tuple(r) for r in docs.collect()]
     assert kept(corpus_pipeline.near_stage(spark, docs, "")) == survivors(rows)
+
+
+def test_links_of_simhash_are_not_searched_again(spark, monkeypatch):
+    from vtask.llm import near_text
+
+    rng = random.Random(4)
+    base = [f"w{rng.randrange(10**6)}" for _ in range(600)]
+    rows = [(i, " ".join(base[:300] + [f"x{i}"] + base[301:])) for i in range(30)]  # a bit or two apart
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    asked, inner = [], near_text._verified
+    monkeypatch.setattr(near_text, "_verified", lambda pairs, sets: asked.append(pairs.count()) or inner(pairs, sets))
+    assert kept(near_text.first_of_near_copies(df)) == [(False, 0)]
+    assert asked == [29, 0, 0]
+    # without these links the shingles have them all to find
+    asked.clear()
+    monkeypatch.setattr(near_text, "near_components", lambda fps: fps.selectExpr("id", "id AS component_id"))
+    assert kept(near_text.first_of_near_copies(df)) == [(False, 0)]
+    assert asked[0] == 0 and asked[1] >= 29

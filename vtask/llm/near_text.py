@@ -5,8 +5,10 @@ texts are linked if the sets' Jaccard similarity is 0.8 or more, and linked
 texts form components.
 
 Search: fingerprints of the same shingles that the BK-trees of `simhash` link
-within its radius give the first candidates. Texts so alike can differ in more
-bits than any radius that can be searched, so shingles find the others: two sets
+within its radius give the first candidates, and texts that these join, once
+verified, are not held against each other again: large groups of near copies end
+here. Texts so alike can differ in more bits than any radius that can be
+searched, so shingles find the links that are left: two sets
 so alike share one of the first n - ceil(0.8 n) + 1 elements of each, in any
 order that is the same for all sets. The order is by the number of texts that
 have a shingle, rarest first; shingles of one text alone fill a prefix without
@@ -109,7 +111,11 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     sets = settle(sets.select("node", "n", F.col("x.h").alias("hs"), lead.cast("int").alias("lead")).select("*", F.array(*map(parity, range(_MAPS))).alias("map")))
     spread = F.posexplode(F.slice("hs", F.lit(1), F.col("lead"))).alias("place", "h")
     # the text with the fewest shingles of its own comes first, as it is alike to most
-    keys = settle(sets.filter("lead > 0").withColumn("alone", F.col("n") - F.size("hs")).select(F.struct("alone", "node", "n", "map").alias("t"), spread))
+    near = near_components(settle(fingerprints(src, "node", "text", size)))
+    likely = near.filter("id <> component_id").select(F.col("component_id").alias("a"), F.col("id").alias("b"))
+    linked = settle(_verified(likely.distinct(), sets))
+    tied = sets.filter("lead > 0").join(connected_components(linked), "node", "left").withColumns({"alone": F.col("n") - F.size("hs"), "of": F.coalesce("comp", "node")})
+    keys = settle(tied.select(F.struct("alone", "node", "n", "map", "of").alias("t"), spread))
 
     def can_be_alike(a, b):
         bits = sum((F.bit_count(a["map"][k].bitwiseXOR(b["map"][k])) for k in range(_MAPS)), a["alone"] + b["alone"])
@@ -117,10 +123,8 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     first = keys.groupBy("h").agg(F.min("t").alias("a"), F.max("t").alias("z")).filter("a.node <> z.node").select(F.col("h").alias("g"), "a")
     b = keys.select(F.col("t").alias("b"), "h")
-    stars = b.join(first, (F.col("h") == F.col("g")) & (F.col("a.node") != F.col("b.node")) & can_be_alike(F.col("a"), F.col("b"))).select(F.col("a.node").alias("a"), F.col("b.node").alias("b"))
-    near = near_components(settle(fingerprints(src, "node", "text", size)))
-    likely = near.filter("id <> component_id").select(F.col("component_id").alias("a"), F.col("id").alias("b"))
-    links = settle(_verified(stars.unionAll(likely).distinct(), sets))
+    stars = b.join(first, (F.col("h") == F.col("g")) & (F.col("a.of") != F.col("b.of")) & can_be_alike(F.col("a"), F.col("b"))).select(F.col("a.node").alias("a"), F.col("b.node").alias("b"))
+    links = settle(linked.unionAll(_verified(stars.distinct(), sets)))
     comp = connected_components(links)
     named = keys.join(comp, F.col("t.node") == F.col("node"), "left").select("t", "place", "h", F.coalesce("comp", "t.node").alias("comp"))
     apart = named.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).filter("lo < hi").select("h")
